@@ -12,6 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -69,7 +70,7 @@ def slices(batches: Iterator[pa.RecordBatch], column: str, most: int = CHUNK_BYT
         if not batch.num_rows:
             continue
         col = batch.column(column)
-        sizes = np.nan_to_num(pa.compute.binary_length(col).to_numpy(zero_copy_only=False).astype("float64")) + 64
+        sizes = np.nan_to_num(pc.binary_length(col).to_numpy(zero_copy_only=False).astype("float64")) + 64
         part = (np.cumsum(sizes) // most).astype("int64")
         cuts = np.flatnonzero(np.diff(part)) + 1
         for a, b in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):

@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from . import mixing, quality, secrets, sharding, vectors
+from . import mixing, nearcopies, quality, secrets, sharding, substrings, vectors
 
 QUERIES = {
     "op1_source_mix": mixing.op1,
+    "op2_repeated_passages": substrings.op2,
     "op6_quality_rules": quality.op6,
     "op7_vector_links": vectors.op7,
     "op8_shards": sharding.op8,
     "op9_secrets": secrets.op9,
+    "op10_near_copies": nearcopies.op10,
 }
 
 

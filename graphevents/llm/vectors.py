@@ -17,6 +17,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -111,7 +112,7 @@ def near_duplicates(vectors: DataFrame, *, threshold: float = THRESHOLD, tile: i
         k = batch.column("k").to_numpy()
         same, ids = batch.column("same"), batch.column("id").to_numpy()
         dim = len(batch.column("v")[0])
-        flat = pa.compute.list_flatten(batch.column("v").combine_chunks()).to_numpy(zero_copy_only=False).reshape(-1, dim)
+        flat = pc.list_flatten(batch.column("v").combine_chunks()).to_numpy(zero_copy_only=False).reshape(-1, dim)
         flat = flat / np.abs(flat).max(axis=1)[:, None]
         inside = batch.column("lo")[0].as_py() == batch.column("hi")[0].as_py()
         left = np.flatnonzero(mine == other)
