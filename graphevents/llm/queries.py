@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
-from . import mixing, nearcopies, quality, secrets, sharding, substrings, vectors
+from . import licences, mixing, nearcopies, pieces, quality, secrets, sharding, substrings, toxicity, vectors
 
 QUERIES = {
     "op1_source_mix": mixing.op1,
     "op2_repeated_passages": substrings.op2,
+    "op3_toxicity": toxicity.op3,
+    "op4_pieces": pieces.op4,
+    "op5_licences": licences.op5,
     "op6_quality_rules": quality.op6,
     "op7_vector_links": vectors.op7,
     "op8_shards": sharding.op8,
