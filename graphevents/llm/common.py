@@ -6,6 +6,8 @@ carriage return); on UTF-8 bytes that is exactly what ``bytes.split()`` yields.
 
 from __future__ import annotations
 
+import contextlib
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -50,6 +52,20 @@ def stored(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+@contextlib.contextmanager
+def bucketed(df: DataFrame, key: str) -> Iterator[DataFrame]:
+    """``df`` as a table bucketed by ``key``: later joins on the key read it in place and move only their other side. The table is dropped
+    at the end, so what is made from it must be stored before."""
+    spark, name = df.sparkSession, f"bucketed_{uuid.uuid4().hex}"
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    try:
+        df.repartition(n, key).write.bucketBy(n, key).format("parquet").saveAsTable(name)
+        free_shuffles(spark)
+        yield spark.table(name)
+    finally:
+        spark.sql(f"drop table if exists {name} purge")
+
+
 def cut(df: DataFrame) -> DataFrame:
     """A reliable checkpoint, for the small tables of iterative jobs."""
     shared_dir(df.sparkSession)
@@ -58,8 +74,6 @@ def cut(df: DataFrame) -> DataFrame:
 
 def free_shuffles(spark: SparkSession) -> None:
     """Let the context cleaner drop shuffle files of finished jobs that nothing refers to."""
-    import gc
-
     gc.collect()
     spark.sparkContext._jvm.System.gc()
 

@@ -9,7 +9,8 @@ a symbol whose stretch lies inside a window is found in every other occurrence o
 Every window of ``width`` words is represented by one such symbol (the longest, then the least in hash order). Symbols that
 are found once cannot be in a repeated window: that settles nearly all of a corpus with one count per symbol, about a
 fourteenth of the words. Occurrences of shared symbols are compared in larger units first - the same whole surroundings found
-twice means all windows are repeated - and only what is left is compared window by window, with 128-bit names.
+twice means all windows are repeated; four neighbouring windows whose common words are found once are not - and only what
+is left is compared window by window, with 128-bit names.
 Windows in which nothing is decided from inside (long runs of a period) are named directly.
 """
 
@@ -20,10 +21,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import mixed, slices, stored, table, word_hashes
+from .common import bucketed, free_shuffles, mixed, slices, stored, table, word_hashes
 
 WIDTH = 35
 #: Rounds: a symbol spans at most 2^4 words and is decided by at most as many on either side, so 35 words hold one.
@@ -76,12 +78,13 @@ def stretch_names(prefix: tuple[np.ndarray, np.ndarray], a: np.ndarray, b: np.nd
 
 def anchored(hashes: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.ndarray, ...]:
     """Runs of windows with one representative: document, first window, number of windows, name of the representative,
-    name of all the words that these windows cover. Places count words from the start of all the documents."""
+    name of all the words that these windows cover, words from the first window to the stretch that decides the representative,
+    words of that stretch. Places count words from the start of all the documents."""
     sizes = np.diff(offsets)
     windows_of = np.maximum(sizes - width + 1, 0)
     total = int(windows_of.sum())
     if not total:
-        return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64),) * 2
+        return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64),) * 2 + (np.zeros(0, np.int64),) * 2
     doc_of = np.repeat(np.arange(len(sizes)), windows_of)
     first_window = np.concatenate([[0], np.cumsum(windows_of)])[:-1]
     start = offsets[:-1][doc_of] + np.arange(total) - first_window[doc_of]
@@ -113,7 +116,7 @@ def anchored(hashes: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.nd
     b = np.where(chosen >= 0, high[c], s + width)
     name = stretch_names(prefix, a, b) ^ mixed((begin[c] - a + 1).astype(np.uint64) * (chosen >= 0))
     around = stretch_names(prefix, s, s + length + width - 1) ^ mixed((a - s).astype(np.uint64))
-    return doc_of[at], s, length, name, around
+    return doc_of[at], s, length, name, around, a - s, b - a
 
 
 def signed(x: np.ndarray) -> pa.Array:
@@ -121,97 +124,164 @@ def signed(x: np.ndarray) -> pa.Array:
 
 
 def anchors(docs: DataFrame, width: int = WIDTH) -> DataFrame:
-    """``id, mark, raw`` -> id, mark, start, length, name, around (the key columns of the text's row beside each run)."""
+    """``id, raw`` -> id, start, length, name, around, lead, span of each run of windows with one representative."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, "raw"):
             hashes, offsets = word_hashes(b.column("raw").to_pylist())
-            doc, start, length, name, around = anchored(hashes, offsets, width)
-            rows = pa.array(doc)
+            doc, start, length, name, around, lead, span = anchored(hashes, offsets, width)
+            short = lambda x: pa.array(x.astype(np.int32))
             yield pa.RecordBatch.from_arrays(
-                [b.column("id").take(rows), b.column("mark").take(rows), pa.array((start - offsets[doc]).astype(np.int32)), pa.array(length.astype(np.int32)), signed(name), signed(around)],
-                ["id", "mark", "start", "length", "name", "around"],
+                [b.column("id").take(pa.array(doc)), short(start - offsets[doc]), short(length), signed(name), signed(around), short(lead), short(span)],
+                ["id", "start", "length", "name", "around", "lead", "span"],
             )
 
-    return docs.mapInArrow(run, "id long, mark long, start int, length int, name long, around long")
+    return docs.mapInArrow(run, "id long, start int, length int, name long, around long, lead int, span int")
+
+
+def exploded(b: pa.RecordBatch, column: str) -> tuple[np.ndarray, dict[str, np.ndarray]]:
+    """The row numbers and the fields of an array-of-structs column."""
+    runs = b.column(column)
+    counts = pc.fill_null(pc.list_value_length(runs), 0).to_numpy(zero_copy_only=False)
+    flat = pc.list_flatten(runs)
+    return np.repeat(np.arange(b.num_rows), counts), {f.name: flat.field(f.name).to_numpy(zero_copy_only=False).astype(np.int64) for f in flat.type}
+
+
+def grouped_windows(docs: DataFrame, width: int = WIDTH, group: int = 4) -> DataFrame:
+    """``id, raw, runs`` -> id, start, length, name of groups of at most ``group`` neighbouring windows.
+
+    A group is fixed by the distance of its windows from their representative, and its name is that of the words they share. If a
+    group's name is found once, none of its windows is found twice.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches, "raw"):
+            hashes, offsets = word_hashes(b.column("raw").to_pylist())
+            row, r = exploded(b, "runs")
+            if not len(row):
+                continue
+            each = np.repeat(np.arange(len(row)), r["length"])
+            i = np.arange(len(each)) - np.repeat(np.cumsum(r["length"]) - r["length"], r["length"])
+            left = r["lead"][each] - i  # words of the window before its representative's stretch
+            level = left // group
+            first = np.flatnonzero(np.concatenate([[True], (each[1:] != each[:-1]) | (level[1:] != level[:-1])]))
+            e, size = each[first], np.diff(np.concatenate([first, [len(each)]]))
+            near, at = level[first] * group, offsets[row[e]] + r["start"][e] + r["lead"][e]
+            far = np.maximum(width - r["span"][e] - near - (group - 1), 0)
+            # The left edge of a group may be cut by its run; what its windows share is counted from the full group all the same.
+            name = stretch_names(prefix_names(hashes), at - near, at + r["span"][e] + far) ^ mixed((near * 64 + 1).astype(np.uint64))
+            yield pa.RecordBatch.from_arrays([b.column("id").take(pa.array(row[e])), pa.array((r["start"][e] + i[first]).astype(np.int32)), pa.array(size.astype(np.int32)), signed(name)], ["id", "start", "length", "name"])
+
+    return docs.mapInArrow(run, "id long, start int, length int, name long")
 
 
 def window_rows(docs: DataFrame, width: int = WIDTH) -> DataFrame:
-    """``id, mark, raw, runs`` -> id, mark, start and the 128-bit name of each window in ``runs`` (start, length)."""
+    """``id, raw, runs`` -> id, start and the 128-bit name of each window in ``runs`` (start, length)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, "raw"):
             raw = b.column("raw").to_pylist()
             hashes, offsets = word_hashes(raw)
-            runs = b.column("runs").to_pylist()
-            row = np.repeat(np.arange(len(runs)), [sum(r["length"] for r in x) for x in runs])
+            row, r = exploded(b, "runs")
             if not len(row):
                 continue
-            place = np.concatenate([np.arange(r["start"], r["start"] + r["length"]) for x in runs for r in x])
-            a = place + offsets[row]
+            each = np.repeat(np.arange(len(row)), r["length"])
+            place = r["start"][each] + np.arange(len(each)) - np.repeat(np.cumsum(r["length"]) - r["length"], r["length"])
+            a = place + offsets[row[each]]
             one = stretch_names(prefix_names(hashes), a, a + width)
             two = stretch_names(prefix_names(word_hashes(raw, 2)[0]), a, a + width)
-            rows = pa.array(row)
-            yield pa.RecordBatch.from_arrays([b.column("id").take(rows), b.column("mark").take(rows), pa.array(place.astype(np.int32)), signed(one), signed(two)], ["id", "mark", "start", "one", "two"])
+            yield pa.RecordBatch.from_arrays([b.column("id").take(pa.array(row[each])), pa.array(place.astype(np.int32)), signed(one), signed(two)], ["id", "start", "one", "two"])
 
-    return docs.mapInArrow(run, "id long, mark long, start int, one long, two long")
+    return docs.mapInArrow(run, "id long, start int, one long, two long")
 
 
-def kept_words(raw: bytes, ranges: list[dict] | None, width: int = WIDTH) -> tuple[int, int, bytes]:
+def kept_words(raw: bytes, start: np.ndarray, length: np.ndarray, width: int = WIDTH) -> tuple[int, int, bytes]:
     """Number of words, number removed, the kept words joined by one space."""
     words = raw.split()
-    if not ranges:
+    if not len(start):
         return len(words), 0, b" ".join(words)
     gone = np.zeros(len(words) + 1, np.int32)
-    a = np.array([r["start"] for r in ranges])
-    np.add.at(gone, a, 1)
-    np.add.at(gone, a + [r["length"] + width - 1 for r in ranges], -1)
+    np.add.at(gone, start, 1)
+    np.add.at(gone, start + length + width - 1, -1)
     keep = np.flatnonzero(np.cumsum(gone[:-1]) == 0)
     return len(words), len(words) - len(keep), b" ".join([words[i] for i in keep.tolist()])
 
 
-def repeats(docs: DataFrame, width: int = WIDTH) -> DataFrame:
-    """``id, mark, raw`` -> ``id, mark, ranges``: runs of windows (start, length) whose words start at another place, too."""
-    found = stored(anchors(docs, width))
-    shared = found.groupBy("name").agg(F.count("*").alias("n")).filter("n > 1").select(F.col("name").alias("k"))
-    some = stored(found.join(shared, F.col("name") == F.col("k")).drop("k"))
-    # The same surroundings twice: all the windows of the run are repeated. ``around`` starts at the same distance from the name.
+def again(rows: DataFrame, names: list[str], most: int = 1) -> DataFrame:
+    """The rows whose ``names`` are found more than ``most`` times: counts are combined before the shuffle, then joined back."""
+    seen = rows.groupBy(*names).agg(F.count("*").alias("n")).filter(F.col("n") > most).select(*[F.col(c).alias(f"k{i}") for i, c in enumerate(names)])
+    same = F.lit(True)
+    for i, c in enumerate(names):
+        same = same & (F.col(c) == F.col(f"k{i}"))
+    return rows.join(seen, same, "left_semi")
+
+
+def repeats(texts: DataFrame, width: int = WIDTH) -> DataFrame:
+    """``id, raw`` (bucketed by id) -> ``id, ranges``: runs of windows (start, length) whose words start at another place, too."""
+    spark = texts.sparkSession
+
+    def of_text(runs: DataFrame, *columns: str) -> DataFrame:
+        lists = runs.groupBy("id").agg(F.collect_list(F.struct(*columns)).alias("runs"))
+        return texts.join(lists, "id").select("id", "raw", "runs")
+
+    some = stored(again(stored(anchors(texts.select("id", "raw"), width)), ["name"]))
+    free_shuffles(spark)
+    # The same surroundings twice: all windows of the run are repeated.
     units = some.groupBy("name", "around", "length").agg(F.count("*").alias("n")).filter("n > 1").select(F.col("name").alias("k"), F.col("around").alias("a"), F.col("length").alias("l"))
-    marked = stored(some.join(units, (F.col("name") == F.col("k")) & (F.col("around") == F.col("a")) & (F.col("length") == F.col("l")), "left").select("id", "mark", "start", "length", "name", F.col("k").isNotNull().alias("whole")))
-    # A run that is whole still stands for its windows when the others are compared; one whose name has only whole runs needn't.
-    loose = marked.filter(~F.col("whole")).select(F.col("name").alias("k")).distinct()
-    to_name = marked.join(loose, F.col("name") == F.col("k"))
-    per_text = to_name.groupBy("id", "mark").agg(F.collect_list(F.struct("start", "length")).alias("runs"))
-    texts = docs.join(per_text.select(F.col("id").alias("i"), F.col("mark").alias("m"), "runs"), F.col("id").eqNullSafe(F.col("i")) & (F.col("mark") == F.col("m"))).select("id", "mark", "raw", "runs")
-    windows = stored(window_rows(texts, width))
-    twice = windows.groupBy("one", "two").agg(F.count("*").alias("n")).filter("n > 1").select(F.col("one").alias("k"), F.col("two").alias("l"))
-    single = windows.join(twice, (F.col("one") == F.col("k")) & (F.col("two") == F.col("l"))).select("id", "mark", "start", F.lit(1).alias("length"))
-    ranges = single.unionByName(marked.filter("whole").select("id", "mark", "start", "length"))
-    return stored(ranges.groupBy("id", "mark").agg(F.collect_set(F.struct("start", "length")).alias("ranges")))
-
-
-def deduplicated(docs: DataFrame, width: int = WIDTH) -> DataFrame:
-    """One row a document: doc_id, n_words, n_removed, kept_text (null where the text is null).
+    marked = some.join(units, (F.col("name") == F.col("k")) & (F.col("around") == F.col("a")) & (F.col("length") == F.col("l")), "left")
+    marked = stored(marked.select("id", "start", "length", "lead", "span", "name", F.col("k").isNotNull().alias("whole")))
+    # A whole run still stands for its windows where others are compared with them; a name that has only whole runs is settled.
+    loose = marked.filter(~F.col("whole")).select("name").distinct()
+    to_name = marked.join(loose, "name", "left_semi")
+    groups = stored(grouped_windows(of_text(to_name, "start", "length", "lead", "span"), width))
+    free_shuffles(spark)
+    groups = stored(again(groups, ["name"]).select("id", "start", "length"))
+    windows = stored(window_rows(of_text(groups, "start", "length"), width))
+    free_shuffles(spark)
+    single = again(windows, ["one", "two"]).select("id", "start").distinct()
+    # Neighbouring windows become one range again.
+    island = single.withColumn("island", F.col("start") - F.row_number().over(Window.partitionBy("id").orderBy("start")))
+    single = island.groupBy("id", "island").agg(F.min("start").alias("start"), F.count("*").cast("int").alias("length")).select("id", "start", "length")
+    ranges = single.unionByName(marked.filter("whole").select("id", "start", "length"))
+    out = stored(ranges.groupBy("id").agg(F.collect_list(F.struct("start", "length")).alias("ranges")))
+    free_shuffles(spark)
+    return out
+
+
+def deduplicated(docs: DataFrame, width: int = WIDTH, with_text: bool = True) -> DataFrame:
+    """One row a document: doc_id, n_words, n_removed, kept_sha256 and, unless left out, kept_text (null where the text is null).
 
     Null and blank texts have no words. Texts shorter than ``width`` words are left alone. Rows that repeat a text repeat all of its
     windows, also when they repeat the id. Extra columns are ignored.
     """
-    rows = docs.select(F.col("doc_id").alias("id"), F.xxhash64("text").alias("mark"), F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("raw"), F.col("text").isNull().alias("none"))
-    found = repeats(rows.select("id", "mark", "raw"), width)
-    both = rows.join(found.select(F.col("id").alias("i"), F.col("mark").alias("m"), "ranges"), F.col("id").eqNullSafe(F.col("i")) & (F.col("mark") == F.col("m")), "left")
+    ids = docs.agg(F.count("*").alias("n"), F.count_distinct("doc_id").alias("k")).first()
+    # A number a row is known by: its id, or where ids repeat or are null a hash of id and text (equal rows share it, and their result).
+    key = F.col("doc_id") if ids["n"] == ids["k"] else F.xxhash64("doc_id", "text")
+    text = F.coalesce(F.col("text"), F.lit("")).cast("binary")
+    rows = docs.select(key.cast("long").alias("id"), F.col("doc_id").alias("doc_id"), text.alias("raw"), F.col("text").isNull().alias("none"))
+    kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, "raw"):
-            got = [kept_words(r, x, width) for r, x in zip(b.column("raw").to_pylist(), b.column("ranges").to_pylist(), strict=True)]
-            kept = [None if none else g[2].decode("utf-8", "replace") for g, none in zip(got, b.column("none").to_pylist(), strict=True)]
-            digest = [hashlib.sha256(g[2]).hexdigest() for g in got]
-            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([g[0] for g in got], pa.int64()), pa.array([g[1] for g in got], pa.int64()), pa.array(kept, pa.string()), pa.array(digest, pa.string())], ["doc_id", "n_words", "n_removed", "kept_text", "kept_sha256"])
-
-    return both.select("id", "raw", "none", "ranges").mapInArrow(run, "doc_id long, n_words long, n_removed long, kept_text string, kept_sha256 string")
+            row, r = exploded(b, "ranges")
+            at = np.searchsorted(row, np.arange(b.num_rows + 1))
+            start, length = (r["start"], r["length"]) if len(row) else (np.zeros(0, np.int64),) * 2
+            got = [kept_words(x, start[i:j], length[i:j], width) for x, i, j in zip(b.column("raw").to_pylist(), at[:-1], at[1:], strict=True)]
+            out = [b.column("doc_id"), pa.array([g[0] for g in got], pa.int64()), pa.array([g[1] for g in got], pa.int64()), pa.array([hashlib.sha256(g[2]).hexdigest() for g in got], pa.string())]
+            names = ["doc_id", "n_words", "n_removed", "kept_sha256"]
+            if with_text:
+                none = b.column("none").to_pylist()
+                out, names = [*out, pa.array([None if x else g[2].decode("utf-8", "replace") for g, x in zip(got, none, strict=True)], pa.string())], [*names, "kept_text"]
+            yield pa.RecordBatch.from_arrays(out, names)
+
+    with bucketed(rows, "id") as texts:
+        both = texts.join(repeats(texts.select("id", "raw"), width), "id", "left").select("doc_id", "raw", "none", "ranges")
+        schema = f"doc_id {kind}, n_words long, n_removed long, kept_sha256 string" + ", kept_text string" * with_text
+        return stored(both.mapInArrow(run, schema))
 
 
 def op2(spark, sf_dir: str) -> DataFrame:
-    return deduplicated(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "n_removed", "kept_sha256")
+    return deduplicated(table(spark, sf_dir, "documents"), with_text=False)
 
 
 def brute_force(texts: list[str | None], width: int = WIDTH) -> list[tuple[int, int, str]]:
