@@ -18,16 +18,15 @@ word histograms (256 counts) rule out most false candidates by a lower bound of
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.components import components
-from .common import cut, free_shuffles, mixed, shared_dir, slices, stored, table, word_hashes
+from .common import bucketed, free_shuffles, mixed, slices, stored, table, word_hashes
 from .substrings import prefix_names, stretch_names
 
 K, SKETCHES, KEPT, THRESHOLD = 5, 64, 2, 0.8
@@ -158,105 +157,106 @@ def features(docs: DataFrame) -> DataFrame:
     return docs.mapInArrow(run, "id long, digest string, n long, keys array<long>, bins binary")
 
 
-def possible(pairs: DataFrame, reps: DataFrame, far: float) -> DataFrame:
-    """``a, b`` -> those with a, b, na, nb, whose lengths and word histograms allow a distance within ``far`` of the longer length.
-    One edit changes the histogram by at most 2."""
-    side = lambda x: reps.select(F.col("id").alias(x), F.col("n").alias(f"n{x}"), F.col("bins").alias(f"bins{x}"))
-    both = with_side(with_side(pairs, side("b"), "b"), side("a"), "a")
-    both = both.filter(F.abs(F.col("na") - F.col("nb")) <= far * F.greatest("na", "nb"))
+def compared(pairs: DataFrame, texts: DataFrame, far: float, most: int = 200) -> DataFrame:
+    """``a, b`` -> a, b, na, nb, d for the pairs whose word edit distance d is within ``far`` of the longer length.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    First by lengths and word histograms, which one edit changes by at most 2, then by alignment. ``texts`` is bucketed by id, so pairs
+    go to the texts. A text with very many pairs is repeated once for every ``most`` of them and they are dealt out by a hash.
+    """
+    parts = pairs.groupBy("a").agg(F.ceil(F.count("*") / most).cast("int").alias("parts"))
+    dealt = pairs.join(parts, "a").withColumn("salt", F.pmod(F.xxhash64("b"), F.col("parts")).cast("int"))
+    dealt = stored(dealt.select("a", "b", "salt"))
+    salts = dealt.select("a", "salt").distinct()
+
+    def joined(rows: DataFrame, salts: DataFrame, columns: tuple[str, ...]) -> DataFrame:
+        side = lambda x: texts.select(F.col("id").alias(x), *[F.col(c).alias(c + x) for c in columns])
+        return rows.join(side("b"), "b").join(salts.join(side("a"), "a"), ["a", "salt"])
+
+    def bounds(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if not b.num_rows:
                 continue
             x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), "<u2").reshape(-1, BINS).astype(np.int32) for c in ("binsa", "binsb"))
             least = np.abs(x - y).sum(axis=1) / 2
-            na, nb = b.column("na").to_numpy(), b.column("nb").to_numpy()
-            keep = pa.array(least <= far * np.maximum(na, nb) + 1e-9)
-            yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "na", "nb")], ["a", "b", "na", "nb"])
-
-    return both.select("a", "b", "na", "nb", "binsa", "binsb").mapInArrow(run, "a long, b long, na long, nb long")
-
+            keep = pa.array(least <= far * np.maximum(b.column("na").to_numpy(), b.column("nb").to_numpy()) + 1e-9)
+            yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "salt")], ["a", "b", "salt"])
 
-def with_side(pairs: DataFrame, side: DataFrame, column: str, most: int = 200) -> DataFrame:
-    """``pairs`` joined with ``side`` on ``column``; where one value has very many pairs its row of ``side`` is repeated, and the pairs
-    are dealt to the repetitions by a hash, so that no task gets them all."""
-    other = "b" if column == "a" else "a"
-    parts = pairs.groupBy(F.col(column).alias("v")).agg(F.ceil(F.count("*") / most).cast("int").alias("parts"))
-    many = cut(parts.filter("parts > 1"))
-    if many.isEmpty():
-        return pairs.join(side, column)
-    salted = pairs.join(many, pairs[column] == many.v, "left").withColumn("salt", F.pmod(F.xxhash64(other), F.coalesce("parts", F.lit(1))).cast("int")).drop("v", "parts")
-    repeated = side.join(many, side[column] == many.v, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1))).drop("v", "parts")
-    return salted.join(repeated, [column, "salt"]).drop("salt")
+    likely = joined(dealt, salts, ("n", "bins")).filter(F.abs(F.col("na") - F.col("nb")) <= far * F.greatest("na", "nb") + 1e-9)
+    likely = stored(likely.select("a", "b", "salt", "na", "nb", "binsa", "binsb").mapInArrow(bounds, "a long, b long, salt int"))
 
-
-def aligned(pairs: DataFrame, texts: DataFrame, far: float) -> DataFrame:
-    """``a, b, na, nb`` -> also ``d`` for the pairs whose word edit distance is within ``far`` of the longer length."""
-    side = lambda x: texts.select(F.col("id").alias(x), F.col("raw").alias(f"raw{x}"))
-    both = with_side(pairs.join(side("b"), "b"), side("a").join(pairs.select("a").distinct(), "a", "left_semi"), "a")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def align(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             left, last, got = None, None, []
             for x, y in zip(b.column("rawa").to_pylist(), b.column("rawb").to_pylist(), strict=True):
-                if x is not last:
+                if x != last:
                     left, last = x.split(), x
                 right = y.split()
                 most = int(far * max(len(left), len(right)) + 1e-9)
                 d = edit_distance(left, right, most)
                 got.append(d if d <= most else None)
-            keep = pa.array([d is not None for d in got])
+            keep = pa.array([d is not None for d in got], pa.bool_())
             cols = [b.column(c).filter(keep) for c in ("a", "b", "na", "nb")]
             yield pa.RecordBatch.from_arrays([*cols, pa.array([d for d in got if d is not None], pa.int64())], ["a", "b", "na", "nb", "d"])
 
-    return both.select("a", "b", "na", "nb", "rawa", "rawb").mapInArrow(run, "a long, b long, na long, nb long, d long")
+    both = joined(likely, likely.select("a", "salt").distinct(), ("n", "raw"))
+    return stored(both.select("a", "b", "na", "nb", "rawa", "rawb").mapInArrow(align, "a long, b long, na long, nb long, d long"))
 
 
 def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """``a, b`` pairs of texts (ids) within the threshold that connect all pairs which share a bucket and are within it."""
     far = 1.0 - threshold
     spark = reps.sparkSession
-    open_ = reps.select(F.explode("keys").alias("key"), F.col("id").alias("b"))
-    found, near_any = None, F.col("d") <= far * F.greatest("na", "nb") + 1e-9
-    done = None
+    open_ = reps.select(F.explode("keys").alias("key"), F.col("id").alias("b"), "n")
+    found, done, leaders = None, None, 1
+    first = True
 
     def fresh(pairs: DataFrame) -> DataFrame:
+        pairs = pairs.distinct()
         return pairs if done is None else pairs.join(done, ["a", "b"], "left_anti")
 
-    for _ in range(1000):
-        lead = open_.groupBy("key").agg(F.min("b").alias("a"), F.count("*").alias("in_it")).filter("in_it > 1")
-        mine = open_.join(lead.select("key", "a"), "key").filter("a <> b")
-        mine = stored(mine)
+    while True:
+        if first:
+            lead = open_.groupBy("key").agg(F.min("b").alias("a"), F.count("*").alias("in_it")).filter("in_it > 1").select("key", "a")
+        else:
+            # The ``leaders`` least members: each task keeps as many of a bucket before the shuffle.
+            rank = F.row_number().over(Window.partitionBy("key", "part").orderBy("b"))
+            least = open_.withColumn("part", F.spark_partition_id()).withColumn("r", rank).filter(F.col("r") <= leaders)
+            lead = least.withColumn("r", F.row_number().over(Window.partitionBy("key").orderBy("b"))).filter(F.col("r") <= leaders).select("key", F.col("b").alias("a"))
+        mine = stored(open_.join(lead, "key").filter("a < b").select("key", "a", "b", "n"))
         if mine.isEmpty():
             break
-        pairs = stored(fresh(mine.select("a", "b").distinct()))
-        near = stored(aligned(stored(possible(pairs, reps, far)), texts, far).filter(near_any))
-        done = stored(pairs if done is None else done.union(pairs))
+        pairs = stored(fresh(mine.select("a", "b")))
+        near = compared(pairs, texts, far)
+        done = pairs if done is None else done.union(pairs)
         found = near if found is None else found.union(near)
-        linked = found.select("a", "b", "d", "na", "nb")
-        held = mine.join(linked, ["a", "b"], "left")
-        held = stored(held)
-        # Buckets where some are linked to the leader and some are not: the others may be linked to one of those.
-        mixed_keys = held.groupBy("key").agg(F.count("d").alias("yes"), F.count("*").alias("all")).filter("yes > 0 and yes < all").select("key")
-        others = held.filter("d is null").join(mixed_keys, "key", "left_semi").select("key", "a", "b")
-        others = stored(others)
+        held = stored(mine.join(found.select("a", "b", "d", F.col("na").alias("n_lead")).distinct(), ["a", "b"], "left"))
+        # Where a leader is linked to some and not to others: the others may be linked to one of those.
+        split = held.groupBy("key", "a").agg(F.count("d").alias("yes"), F.count("*").alias("all")).filter("yes > 0 and yes < all").select("key", "a")
+        others = stored(held.filter("d is null").join(split, ["key", "a"], "left_semi").select("key", "a", "b", "n"))
         if not others.isEmpty():
-            twice = 2 * far
-            to_lead = stored(aligned(stored(possible(others.select("a", "b").distinct(), reps, twice)), texts, twice))
-            mid = others.join(to_lead.select("a", "b", F.col("d").alias("dc"), F.col("nb").alias("nc")), ["a", "b"]).select("key", F.col("b").alias("c"), "dc", "nc")
-            yes = held.filter("d is not null").select("key", F.col("b").alias("y"), F.col("d").alias("dy"), F.col("nb").alias("ny"))
-            more = mid.join(yes, "key").filter(F.col("dc") <= F.col("dy") + far * F.greatest("nc", "ny"))
-            more = more.select(F.least("c", "y").alias("a"), F.greatest("c", "y").alias("b")).filter("a <> b").distinct()
-            more = stored(fresh(more))
-            near = stored(aligned(stored(possible(more, reps, far)), texts, far).filter(near_any))
-            done = stored(done.union(more))
-            found = found.union(near)
-        open_ = held.filter("d is null").select("key", "b")
+            to_lead = compared(others.select("a", "b").distinct(), texts, 2 * far)
+            mid = others.join(to_lead.select("a", "b", F.col("d").alias("dc")), ["a", "b"]).select("key", "a", F.col("b").alias("c"), "dc", F.col("n").alias("nc"))
+            yes = held.filter("d is not null").select("key", "a", F.col("b").alias("y"), F.col("d").alias("dy"), F.col("n").alias("ny"))
+            more = mid.join(yes, ["key", "a"]).filter(F.col("dc") <= F.col("dy") + far * F.greatest("nc", "ny"))
+            more = stored(fresh(more.select(F.least("c", "y").alias("a"), F.greatest("c", "y").alias("b")).filter("a <> b")))
+            found = found.union(compared(more, texts, far))
+            done = done.union(more)
+        # What is linked to a leader, and what led, is settled in its bucket.
+        settled = held.groupBy("key", "b").agg(F.count("d").alias("yes"), F.first("n").alias("n")).filter("yes = 0")
+        if first:
+            # Texts whose lengths differ by more than the threshold allows can't be linked: buckets are divided by length, with each
+            # text in its own class and the next, so that any two texts that may be linked share one.
+            band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.0 / threshold)) + 1e-9).cast("long")
+            settled = settled.select("key", "b", "n", F.explode(F.array(band, band + 1)).alias("band")).select(F.xxhash64("key", "band").alias("key"), "b", "n")
+        else:
+            led = mine.select("key", F.col("a").alias("b")).distinct()
+            settled = settled.join(led, ["key", "b"], "left_anti")
+        open_ = stored(settled.select("key", "b", "n"))
+        first, leaders = False, min(4 * leaders, 4096)
         free_shuffles(spark)
     if found is None:
         return spark.createDataFrame([], "a long, b long")
-    return found.select("a", "b")
+    return found.select("a", "b").distinct()
 
 
 def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -266,31 +266,26 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     count as one document, whose classes are joined. A null doc_id is in no class, with a null class_id, and is kept. Ties and repeated
     rows do not matter. Extra columns are ignored, an empty table gives an empty result.
     """
-    spark = docs.sparkSession
-    rows = docs.select(F.col("doc_id").alias("id"), F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("digest"), F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("raw"))
+    raw = F.coalesce(F.col("text"), F.lit("")).cast("binary")
+    rows = docs.select(F.col("doc_id").alias("id"), F.md5(raw).alias("digest"), raw.alias("raw"))
     got = stored(features(rows))
     some = got.filter("n > 0 and id is not null")
     reps = stored(some.groupBy("digest").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("keys").alias("keys"), F.first("bins").alias("bins")))
-    name = f"texts_{uuid.uuid4().hex}"
-    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    shared_dir(spark)
-    texts = rows.select("id", "raw").filter("id is not null").repartition(buckets, "id")
-    texts.write.bucketBy(buckets, "id").format("parquet").saveAsTable(name)
-    free_shuffles(spark)
-    try:
-        pairs = links(reps.select("id", "n", "keys", "bins"), spark.table(name), threshold)
-        of_text = some.select("id", "digest").join(reps.select("digest", F.col("id").alias("rep")), "digest").select("id", "rep")
-        whole = components(pairs.select(F.col("a").alias("src"), F.col("b").alias("dst")).union(of_text.join(of_text.groupBy("id").agg(F.count_distinct("rep").alias("k")).filter("k > 1"), "id", "left_semi")))
-        joined = of_text.join(whole, F.col("rep") == F.col("node"), "left").groupBy("id").agg(F.min(F.coalesce("component", "rep")).alias("class_id"))
-        out = got.select("id", "n").join(joined.withColumnRenamed("id", "i"), F.col("id") == F.col("i"), "left")
-        class_id = F.coalesce("class_id", "id")
-        return stored(out.select(F.col("id").alias("doc_id"), class_id.alias("class_id"), F.coalesce(F.col("id") == class_id, F.lit(True)).alias("kept"), F.col("n").alias("n_words")))
-    finally:
-        spark.sql(f"drop table if exists {name} purge")
+    free_shuffles(docs.sparkSession)
+    own = reps.select(F.col("id").alias("i"), F.col("digest").alias("g"), "n", "bins")
+    with bucketed(rows.join(own, (F.col("id") == F.col("i")) & (F.col("digest") == F.col("g"))).dropDuplicates(["id", "digest"]).select("id", "n", "bins", "raw"), "id") as texts:
+        pairs = stored(links(reps.select("id", "n", "keys"), texts, threshold))
+    of_text = some.select("id", "digest").distinct().join(reps.select("digest", F.col("id").alias("rep")), "digest").select("id", "rep")
+    twice = of_text.groupBy("id").agg(F.count_distinct("rep").alias("k")).filter("k > 1").select("id")
+    whole = components(pairs.select(F.col("a").alias("src"), F.col("b").alias("dst")).union(of_text.join(twice, "id", "left_semi")))
+    joined = of_text.join(whole, F.col("rep") == F.col("node"), "left").groupBy("id").agg(F.min(F.coalesce("component", "rep")).alias("class_id"))
+    out = got.select("id", "n").join(joined.withColumnRenamed("id", "i"), F.col("id") == F.col("i"), "left")
+    class_id = F.coalesce("class_id", "id")
+    return out.select(F.col("id").alias("doc_id"), class_id.alias("class_id"), F.coalesce(F.col("id") == class_id, F.lit(True)).alias("kept"), F.col("n").alias("n_words"))
 
 
 def distinct_documents(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows of ``docs`` of one document a class: that with the least doc_id. Of rows equal in id one stays."""
+    """The rows of ``docs`` of one document a class: that with the least doc_id. Rows without an id stay."""
     gone = classes(docs, threshold).filter(~F.col("kept")).select(F.col("doc_id").alias("__gone")).distinct()
     return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
 
