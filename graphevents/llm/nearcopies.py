@@ -9,8 +9,8 @@ a bit-parallel alignment computes within a band.
 Candidates are not expanded to all pairs of a bucket. The bucket's least text leads it and every other one is aligned with it.
 Texts linked to their leader are done in that bucket, up to one exception: a text too far from the leader may still be
 linked to one that is done. Distances to the leader rule out nearly all such pairs by the triangle inequality and
-the rest are aligned. What no leader has settled goes on to the next round with a new leader, until no bucket holds two
-texts. So every pair that shares a bucket is linked, ruled out, or has both ends in one component already.
+the rest are aligned. What the first leader has not settled goes on, in smaller buckets, to rounds with more leaders each,
+until no bucket holds two texts. So every pair of a bucket is linked, ruled out, or has both ends in one component already.
 
 Scale: a text leaves its row once, into a table bucketed by text id, which later joins read without moving it; pairs are ids;
 word histograms (256 counts) rule out most false candidates by a lower bound of the distance before any text is read.
@@ -33,8 +33,9 @@ K, SKETCHES, KEPT, THRESHOLD = 5, 64, 2, 0.8
 BINS = 256
 
 
-def sketched(hashes: np.ndarray, offsets: np.ndarray, k: int = K, sketches: int = SKETCHES, seed: int = 11) -> list[np.ndarray]:
-    """The keys of each text; a text of fewer than ``k`` words is one stretch, a text without words has no key."""
+def sketched(hashes: np.ndarray, offsets: np.ndarray, k: int = K, sketches: int = SKETCHES, seed: int = 11) -> list[tuple[np.ndarray, np.ndarray]]:
+    """The keys of each text, and keys of twice as many least stretches in the same orders. A text of fewer than ``k`` words is one
+    stretch, a text without words has no key."""
     sizes = np.diff(offsets)
     stretches = np.where(sizes == 0, 0, np.maximum(sizes - k + 1, 1))
     at = np.concatenate([[0], np.cumsum(stretches)])
@@ -52,25 +53,26 @@ def sketched(hashes: np.ndarray, offsets: np.ndarray, k: int = K, sketches: int
     factors = np.random.Generator(np.random.PCG64(seed)).integers(1, 1 << 63, sketches, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
     salt = mixed(np.arange(sketches).astype(np.uint64) + np.uint64(seed))
     out = []
+    none = np.uint64(0xFFFFFFFFFFFFFFFF)
     for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
         if a == b:
-            out.append(np.zeros(0, np.uint64))
+            out.append((np.zeros(0, np.uint64),) * 2)
             continue
         names, labels = name[a:b], label[a:b]
-        keys = []
+        keys, longer = [], []
         step = max(1, (1 << 20) // (b - a))  # bounds the table of ranks for very long texts
         for s in range(0, sketches, step):
             rank = labels[None] * factors[s : s + step, None]
-            rows = np.arange(len(rank))
-            one = rank.argmin(axis=1)
-            if b - a > 1:
-                rank[rows, one] = np.uint64(0xFFFFFFFFFFFFFFFF)
-                two = rank.argmin(axis=1)
-                lo, hi = names[np.minimum(one, two)], names[np.maximum(one, two)]
-            else:
-                lo = hi = names[one]
-            keys.append(mixed(mixed(lo) * np.uint64(3) + hi + salt[s : s + step]))
-        out.append(np.concatenate(keys))
+            rows, least = np.arange(len(rank)), []
+            for _ in range(min(2 * KEPT, b - a)):
+                least.append(rank.argmin(axis=1))
+                rank[rows, least[-1]] = none
+            for n, kept in ((KEPT, keys), (2 * KEPT, longer)):
+                key = salt[s : s + step]
+                for places in np.sort(np.stack(least[:n]), axis=0):
+                    key = mixed(key * np.uint64(3) + names[places])
+                kept.append(key)
+        out.append((np.concatenate(keys), np.concatenate(longer)))
     return out
 
 
@@ -138,7 +140,7 @@ def edit_distance(a: list, b: list, most: int) -> int:
 
 
 def features(docs: DataFrame) -> DataFrame:
-    """``id, digest, raw`` -> id, digest, n (words), keys, bins (256 counts of 16 bits)."""
+    """``id, digest, raw`` -> id, digest, n (words), keys, longer (keys of twice as many stretches, 32 bits), bins (256 counts of 16 bits)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, "raw"):
@@ -147,14 +149,15 @@ def features(docs: DataFrame) -> DataFrame:
             doc = np.repeat(np.arange(b.num_rows), np.diff(offsets))
             bins = np.bincount(doc * BINS + (hashes >> np.uint64(56)).astype(np.int64), minlength=b.num_rows * BINS)
             bins = np.minimum(bins, 65535).astype("<u2").reshape(-1, BINS)
-            places = np.concatenate([[0], np.cumsum([len(x) for x in keys])]).astype(np.int32)
-            flat = np.concatenate(keys).view(np.int64) if len(keys) else np.zeros(0, np.int64)
+            places = np.concatenate([[0], np.cumsum([len(x) for x, _ in keys])]).astype(np.int32)
+            flat = np.concatenate([x for x, _ in keys]).view(np.int64)
+            more = (np.concatenate([x for _, x in keys]) >> np.uint64(33)).astype(np.int32)
             yield pa.RecordBatch.from_arrays(
-                [b.column("id"), b.column("digest"), pa.array(np.diff(offsets)), pa.ListArray.from_arrays(places, flat), pa.array([x.tobytes() for x in bins], pa.binary())],
-                ["id", "digest", "n", "keys", "bins"],
+                [b.column("id"), b.column("digest"), pa.array(np.diff(offsets)), pa.ListArray.from_arrays(places, flat), pa.ListArray.from_arrays(places, more), pa.array([x.tobytes() for x in bins], pa.binary())],
+                ["id", "digest", "n", "keys", "longer", "bins"],
             )
 
-    return docs.mapInArrow(run, "id long, digest string, n long, keys array<long>, bins binary")
+    return docs.mapInArrow(run, "id long, digest string, n long, keys array<long>, longer array<int>, bins binary")
 
 
 def compared(pairs: DataFrame, texts: DataFrame, far: float, most: int = 200) -> DataFrame:
@@ -206,7 +209,7 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
     """``a, b`` pairs of texts (ids) within the threshold that connect all pairs which share a bucket and are within it."""
     far = 1.0 - threshold
     spark = reps.sparkSession
-    open_ = reps.select(F.explode("keys").alias("key"), F.col("id").alias("b"), "n")
+    open_ = reps.select(F.explode(F.arrays_zip("keys", "longer")).alias("x"), F.col("id").alias("b"), "n").select(F.col("x.keys").alias("key"), F.col("x.longer").alias("longer"), "b", "n")
     found, done, leaders = None, None, 1
     first = True
 
@@ -222,7 +225,7 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
             rank = F.row_number().over(Window.partitionBy("key", "part").orderBy("b"))
             least = open_.withColumn("part", F.spark_partition_id()).withColumn("r", rank).filter(F.col("r") <= leaders)
             lead = least.withColumn("r", F.row_number().over(Window.partitionBy("key").orderBy("b"))).filter(F.col("r") <= leaders).select("key", F.col("b").alias("a"))
-        mine = stored(open_.join(lead, "key").filter("a < b").select("key", "a", "b", "n"))
+        mine = stored(open_.join(lead, "key").filter("a < b").select("key", *["longer"] * first, "a", "b", "n"))
         if mine.isEmpty():
             break
         pairs = stored(fresh(mine.select("a", "b")))
@@ -242,12 +245,14 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
             found = found.union(compared(more, texts, far))
             done = done.union(more)
         # What is linked to a leader, and what led, is settled in its bucket.
-        settled = held.groupBy("key", "b").agg(F.count("d").alias("yes"), F.first("n").alias("n")).filter("yes = 0")
+        carried = [F.first(c).alias(c) for c in ("n", *["longer"] * first)]
+        settled = held.groupBy("key", "b").agg(F.count("d").alias("yes"), *carried).filter("yes = 0")
         if first:
-            # Texts whose lengths differ by more than the threshold allows can't be linked: buckets are divided by length, with each
-            # text in its own class and the next, so that any two texts that may be linked share one.
+            # The rest of a bucket are mostly texts that share one common passage. They go on in smaller buckets: of texts that agree in
+            # twice as many least stretches, and divided by length, with each text in its own class and the next, so that any two
+            # texts whose lengths allow a link share one.
             band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.0 / threshold)) + 1e-9).cast("long")
-            settled = settled.select("key", "b", "n", F.explode(F.array(band, band + 1)).alias("band")).select(F.xxhash64("key", "band").alias("key"), "b", "n")
+            settled = settled.select("key", "longer", "b", "n", F.explode(F.array(band, band + 1)).alias("band")).select(F.xxhash64("key", "longer", "band").alias("key"), "b", "n")
         else:
             led = mine.select("key", F.col("a").alias("b")).distinct()
             settled = settled.join(led, ["key", "b"], "left_anti")
@@ -268,18 +273,19 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """
     raw = F.coalesce(F.col("text"), F.lit("")).cast("binary")
     rows = docs.select(F.col("doc_id").alias("id"), F.md5(raw).alias("digest"), raw.alias("raw"))
-    got = stored(features(rows))
-    some = got.filter("n > 0 and id is not null")
-    reps = stored(some.groupBy("digest").agg(F.min("id").alias("id"), F.first("n").alias("n"), F.first("keys").alias("keys"), F.first("bins").alias("bins")))
+    got = features(rows).filter("n > 0 and id is not null")
+    reps = stored(got.groupBy("digest").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("n", "keys", "longer", "bins")]))
     free_shuffles(docs.sparkSession)
     own = reps.select(F.col("id").alias("i"), F.col("digest").alias("g"), "n", "bins")
     with bucketed(rows.join(own, (F.col("id") == F.col("i")) & (F.col("digest") == F.col("g"))).dropDuplicates(["id", "digest"]).select("id", "n", "bins", "raw"), "id") as texts:
-        pairs = stored(links(reps.select("id", "n", "keys"), texts, threshold))
-    of_text = some.select("id", "digest").distinct().join(reps.select("digest", F.col("id").alias("rep")), "digest").select("id", "rep")
+        pairs = stored(links(reps.select("id", "n", "keys", "longer"), texts, threshold))
+    members = rows.select("id", "digest").join(reps.select("digest", F.col("id").alias("rep"), "n"), "digest", "left")
+    members = stored(members.select("id", "rep", F.coalesce("n", F.lit(0)).cast("long").alias("n")))
+    of_text = members.filter("rep is not null and id is not null").select("id", "rep").distinct()
     twice = of_text.groupBy("id").agg(F.count_distinct("rep").alias("k")).filter("k > 1").select("id")
     whole = components(pairs.select(F.col("a").alias("src"), F.col("b").alias("dst")).union(of_text.join(twice, "id", "left_semi")))
     joined = of_text.join(whole, F.col("rep") == F.col("node"), "left").groupBy("id").agg(F.min(F.coalesce("component", "rep")).alias("class_id"))
-    out = got.select("id", "n").join(joined.withColumnRenamed("id", "i"), F.col("id") == F.col("i"), "left")
+    out = members.select("id", "n").join(joined.withColumnRenamed("id", "i"), F.col("id") == F.col("i"), "left")
     class_id = F.coalesce("class_id", "id")
     return out.select(F.col("id").alias("doc_id"), class_id.alias("class_id"), F.coalesce(F.col("id") == class_id, F.lit(True)).alias("kept"), F.col("n").alias("n_words"))
 
