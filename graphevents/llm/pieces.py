@@ -19,6 +19,7 @@ import functools
 import os
 import re
 from collections.abc import Iterator
+from itertools import chain
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -49,7 +50,14 @@ class Pieces:
         self.byte = [sp.piece_to_id(f"<0x{b:02X}>") for b in range(256)]
         self.of_byte = {i: b for b, i in enumerate(self.byte)}
         self.special = {i for i in range(n) if sp.is_control(i) or sp.is_unknown(i)}
-        self.longest = max(map(len, self.id))
+        #: The longest piece that ends in three characters.
+        self.reach: dict[str, int] = {}
+        for t in self.id:
+            if len(t) > 2:
+                self.reach[t[-3:]] = max(self.reach.get(t[-3:], 2), len(t))
+        # What each id decodes to alone; bytes above 127 are parts of characters, special pieces decode to nothing.
+        self.alone = ["" if i in self.special else chr(self.of_byte[i]) if i in self.of_byte else t.replace(MARK, " ") for i, t in enumerate(self.text)]
+        self.parts_of_characters = {i for i, b in self.of_byte.items() if b > 127}
         self.pairs: dict[tuple[str, str], bool] = {}
         self.known: dict[str, list[int]] = {}
         crossing = [t for t in self.id if re.search(f"[^{MARK}]{MARK}", t)]
@@ -76,26 +84,25 @@ class Pieces:
         if ok is None:
             if len(self.pairs) > 2_000_000:
                 self.pairs.clear()
-            ok = self.pairs[key] = self.merged([*left, *right]) == [left, right]
-        return ok
-
-    def whole(self, piece: str) -> bool:
-        """Whether a piece of the vocabulary is what the model makes of its own characters."""
-        ok = self.pairs.get((piece, ""))
-        if ok is None:
-            ok = self.pairs[piece, ""] = self.merged(list(piece)) == [piece]
+            ok = self.pairs[key] = self.merged([*left, *right]) == ([left, right] if left else [right])
         return ok
 
     def forward(self, word: str, upto: int, last: list[str | None]) -> None:
-        """Extend the forward states ``last`` (last piece of each prefix, from length 0) from ``upto`` to the whole word."""
+        """Extend the forward states ``last`` (last piece of each prefix, from length 0) from ``upto`` to the whole word: at each end
+        the longest piece that may follow the state it starts from. No other is possible than the one found; a single
+        character is what remains when no longer piece fits."""
         del last[upto + 1 :]
+        known, reach, pairs = self.id, self.reach, self.pairs
         for end in range(upto + 1, len(word) + 1):
-            found = None
-            for begin in range(max(0, end - self.longest), end):
+            found = word[end - 1]
+            for begin in range(max(0, end - reach.get(word[max(0, end - 3) : end], 2)), end - 1):
                 piece = word[begin:end]
-                if (piece in self.id or end - begin == 1) and (begin == 0 or self.stable(last[begin], piece)) and (end - begin == 1 or self.whole(piece)):
-                    found = piece
-                    break
+                if piece in known:
+                    key = (last[begin], piece)
+                    ok = pairs.get(key)
+                    if self.stable(*key) if ok is None else ok:
+                        found = piece
+                        break
             last.append(found)
 
     def ids_of(self, word: str, last: list[str | None]) -> list[int]:
@@ -113,7 +120,7 @@ class Pieces:
         """Segment all words that are not known, in trie order."""
         if len(self.known) > REMEMBERED:
             self.known.clear()
-        last: list[str | None] = [None]
+        last: list[str | None] = [""]
         before = ""
         for word in sorted(words - self.known.keys()):
             upto = len(os.path.commonprefix([before, word]))
@@ -126,10 +133,13 @@ class Pieces:
         split = [MARKED.findall(MARK + t.replace(" ", MARK)) if t else [] for t in texts]
         self.learn(set().union(*split) if split else set())
         known = self.known
-        return [[i for w in words for i in known[w]] for words in split]
+        return [list(chain.from_iterable(map(known.__getitem__, words))) for words in split]
 
     def decode(self, ids: list[int]) -> str:
         """The text of ids: byte pieces are put together, marks become spaces, the mark in front goes."""
+        if self.parts_of_characters.isdisjoint(ids):
+            text = "".join(map(self.alone.__getitem__, ids))
+            return text[1:] if text.startswith(" ") else text
         parts, raw = [], bytearray()
         for i in ids:
             if i in self.of_byte:
@@ -138,11 +148,10 @@ class Pieces:
             if raw:
                 parts.append(raw.decode("utf-8", "replace"))
                 raw.clear()
-            if i not in self.special:
-                parts.append(self.text[i])
+            parts.append(self.alone[i])
         if raw:
             parts.append(raw.decode("utf-8", "replace"))
-        text = "".join(parts).replace(MARK, " ")
+        text = "".join(parts)
         return text[1:] if text.startswith(" ") else text
 
 
