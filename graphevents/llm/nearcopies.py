@@ -29,7 +29,7 @@ from ..operators.components import components
 from .common import bucketed, free_shuffles, mixed, slices, stored, table, word_hashes
 from .substrings import prefix_names, stretch_names
 
-K, SKETCHES, KEPT, THRESHOLD = 5, 64, 2, 0.8
+K, SKETCHES, KEPT, THRESHOLD = 5, 48, 2, 0.8
 BINS = 256
 
 
@@ -234,16 +234,27 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
         found = near if found is None else found.union(near)
         held = stored(mine.join(found.select("a", "b", "d", F.col("na").alias("n_lead")).distinct(), ["a", "b"], "left"))
         # Where a leader is linked to some and not to others: the others may be linked to one of those.
-        split = held.groupBy("key", "a").agg(F.count("d").alias("yes"), F.count("*").alias("all")).filter("yes > 0 and yes < all").select("key", "a")
-        others = stored(held.filter("d is null").join(split, ["key", "a"], "left_semi").select("key", "a", "b", "n"))
+        split = held.groupBy("key", "a").agg(F.count("d").alias("yes"), F.count("*").alias("all")).filter("yes > 0 and yes < all").select("key", "a", "yes")
+        others = stored(held.filter("d is null").join(split.select("key", "a"), ["key", "a"], "left_semi").select("key", "a", "b", "n"))
         if not others.isEmpty():
             to_lead = compared(others.select("a", "b").distinct(), texts, 2 * far)
-            mid = others.join(to_lead.select("a", "b", F.col("d").alias("dc")), ["a", "b"]).select("key", "a", F.col("b").alias("c"), "dc", F.col("n").alias("nc"))
-            yes = held.filter("d is not null").select("key", "a", F.col("b").alias("y"), F.col("d").alias("dy"), F.col("n").alias("ny"))
-            more = mid.join(yes, ["key", "a"]).filter(F.col("dc") <= F.col("dy") + far * F.greatest("nc", "ny"))
-            more = stored(fresh(more.select(F.least("c", "y").alias("a"), F.greatest("c", "y").alias("b")).filter("a <> b")))
-            found = found.union(compared(more, texts, far))
-            done = done.union(more)
+            mid = stored(others.join(to_lead.select("a", "b", F.col("d").alias("dc")), ["a", "b"]).select("key", "a", F.col("b").alias("c"), "dc", F.col("n").alias("nc")))
+            # Once linked to any text of the leader, a text is in its component: it is compared with about eight of them (by hash), then
+            # with four times as many, and so on until it is linked or has met them all.
+            share = F.pmod(F.xxhash64("y"), F.lit(1 << 20)) / float(1 << 20) * F.col("yes")
+            yes = held.filter("d is not null").join(split, ["key", "a"]).select("key", "a", F.col("b").alias("y"), F.col("d").alias("dy"), F.col("n").alias("ny"), "yes")
+            yes = stored(yes.withColumn("share", share).drop("yes"))
+            most = yes.agg(F.max("share")).first()[0] or 0.0
+            low, high = 0.0, 8.0
+            while low <= most and not mid.isEmpty():
+                some = mid.join(yes.filter((F.col("share") >= low) & (F.col("share") < high)), ["key", "a"]).filter(F.col("dc") <= F.col("dy") + far * F.greatest("nc", "ny"))
+                tried = stored(some.select("a", "c", "y", F.least("c", "y").alias("lo"), F.greatest("c", "y").alias("hi")).filter("c <> y").distinct())
+                more = stored(fresh(tried.select(F.col("lo").alias("a"), F.col("hi").alias("b"))))
+                found = found.union(compared(more, texts, far))
+                done = done.union(more)
+                met = found.select(F.col("a").alias("lo"), F.col("b").alias("hi")).distinct()
+                mid = stored(mid.join(tried.join(met, ["lo", "hi"]).select("a", "c").distinct(), ["a", "c"], "left_anti"))
+                low, high = high, 4 * high
         # What is linked to a leader, and what led, is settled in its bucket.
         carried = [F.first(c).alias(c) for c in ("n", *["longer"] * first)]
         settled = held.groupBy("key", "b").agg(F.count("d").alias("yes"), *carried).filter("yes = 0")
