@@ -23,7 +23,7 @@ class Config:
     dim: int = 48
     kg_dim: int = 32
     hidden: int = 48
-    layers: int = 2
+    layers: int = 3
     layer: str = "edge_softmax"
     layer_options: dict = field(default_factory=dict)
     fused: bool = True
@@ -71,7 +71,7 @@ def hashed_node(name: str, dim: int) -> np.ndarray:
     """A fixed vector of a node without a trained one: of its name if it is a type, else of its class."""
     key = name if ":" in name and not name[:2] in ("C:", "S:", "P:", "O:") else name[:2]
     rng = np.random.default_rng(crc32(key.encode()))
-    return rng.normal(0, dim**-0.5, dim)
+    return rng.normal(0, 1.0, dim)
 
 
 class Extractor:

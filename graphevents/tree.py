@@ -35,12 +35,13 @@ def kept_nodes(edges: DataFrame, terminals: DataFrame, threshold: int) -> DataFr
     return rich.union(terminals).distinct()
 
 
-def choose_roots(edges: DataFrame, terminals: DataFrame) -> DataFrame:
-    """``node`` of the root of each component with a terminal: the terminal with most neighbours, the least on ties."""
+def choose_roots(edges: DataFrame, terminals: DataFrame, given: str | None = None) -> DataFrame:
+    """``node`` of the root of each component with a terminal: the one given, else the terminal with most neighbours, the least on ties."""
     parts = components(edges)
     degree = undirected(edges).groupBy(F.col("src").alias("node")).agg(F.count("*").alias("deg"))
     of_terminals = terminals.join(parts, "node", "left").join(degree, "node", "left").select("node", F.coalesce("component", "node").alias("component"), F.coalesce("deg", F.lit(0)).alias("deg"))
-    return of_terminals.groupBy("component").agg(F.min(F.struct((-F.col("deg")).alias("d"), "node")).alias("m")).select(F.col("m.node").alias("node"))
+    first = F.when(F.col("node") == F.lit(given), F.lit(-1)).otherwise(F.lit(0))
+    return of_terminals.groupBy("component").agg(F.min(F.struct(first.alias("g"), (-F.col("deg")).alias("d"), "node")).alias("m")).select(F.col("m.node").alias("node"))
 
 
 def bfs_forest(edges: DataFrame, roots: DataFrame, max_rounds: int = 100, switch: float = 0.3) -> DataFrame:
