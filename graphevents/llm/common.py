@@ -79,18 +79,39 @@ def free_shuffles(spark: SparkSession) -> None:
 
 
 def slices(batches: Iterator[pa.RecordBatch], column: str, most: int = CHUNK_BYTES) -> Iterator[pa.RecordBatch]:
-    """Batches of about ``most`` bytes of ``column``; no row is cut."""
+    """Batches of about ``most`` bytes of ``column``; no row is cut. What is made from a piece is small, so neither the Python worker nor
+    the reader on the other side ever holds more than the piece that came in and one that goes out."""
     for batch in batches:
         if not batch.num_rows:
             continue
-        col = batch.column(column)
-        sizes = np.nan_to_num(pc.binary_length(col).to_numpy(zero_copy_only=False).astype("float64")) + 64
+        sizes = np.nan_to_num(pc.binary_length(texts_of(batch, column)).to_numpy(zero_copy_only=False).astype("float64")) + 64
         part = (np.cumsum(sizes) // most).astype("int64")
         cuts = np.flatnonzero(np.diff(part)) + 1
         for a, b in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):
             yield batch.slice(a, b - a)
 
 
+def texts_of(batch: pa.RecordBatch, column: str) -> pa.Array:
+    """A text column of a batch; ``row.document.text`` names a field inside structs, so a whole row need not carry its text twice."""
+    first, *inner = column.split(".")
+    array = batch.column(first)
+    for name in inner:
+        array = array.field(name)
+    return array
+
+
+def with_text(docs: DataFrame, keep: list, whole: bool) -> tuple[DataFrame, str]:
+    """``row`` (a struct of ``keep``) and, unless ``keep`` begins with the whole document, ``raw``; and where the text is found."""
+    if whole:
+        return docs.select(F.struct(*keep).alias("row")), "row.document.text"
+    return docs.select(F.struct(*keep).alias("row"), F.col("text").alias("raw")), "raw"
+
+
+def document(docs: DataFrame) -> F.Column:
+    """All columns of ``docs`` as one struct named ``document``: names can't clash with a helper's."""
+    return F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("document")
+
+
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 

@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import stored, table, word_count
+from .common import document, stored, table, word_count
 
 #: Weights by the rank of a source's name.
 CYCLE = (3, 1, 2)
@@ -135,7 +135,7 @@ def mix(spark, docs: DataFrame) -> DataFrame:
 
 def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     """The mixture itself: every row of ``docs`` as often as it is taken, with the columns of ``docs``."""
-    packed = mixed_rows(docs, [F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("document")], **options)
+    packed = mixed_rows(docs, [document(docs)], **options)
     again = packed.filter(F.col("copies") > 0).select("document", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))).alias("copy"))
     return again.select("document.*")
 

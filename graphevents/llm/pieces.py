@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, table
+from .common import document, slices, table, texts_of, with_text
 
 MODEL = os.environ.get("PIECE_MODEL", "/opt/tokenizers/piece_bpe_32k.model")
 #: Words a worker remembers.
@@ -166,18 +166,19 @@ def encoded(docs: DataFrame, path: str = MODEL) -> DataFrame:
     Null text has null ids and a null round trip; an empty text has none. A text that itself holds the blank mark decodes with a space in
     its place; round_trip is false then. Columns of ``docs`` that are named like the new ones are replaced by them.
     """
-    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns if c not in ("ids", "n_ids", "round_trip")]).alias("row"), F.col("text").alias("text"))
+    rows, place = with_text(docs, [document(docs.drop("ids", "n_ids", "round_trip"))], whole=True)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = pieces(path)
-        for b in slices(batches, "text"):
-            texts = b.column("text").to_pylist()
+        for b in slices(batches, place):
+            texts = texts_of(b, place).to_pylist()
             got = model.encode([t or "" for t in texts])
             back = [None if t is None else model.decode(g) == t for t, g in zip(texts, got, strict=True)]
             ids = pa.array([None if t is None else g for t, g in zip(texts, got, strict=True)], pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays([b.column("row"), ids, pa.array(list(map(len, got)), pa.int32()), pa.array(back, pa.bool_())], ["row", "ids", "n_ids", "round_trip"])
 
-    return rows.mapInArrow(run, f"row {rows.schema['row'].dataType.simpleString()}, ids array<int>, n_ids int, round_trip boolean").select("row.*", "ids", "n_ids", "round_trip")
+    out = rows.mapInArrow(run, f"row {rows.schema['row'].dataType.simpleString()}, ids array<int>, n_ids int, round_trip boolean")
+    return out.select("row.document.*", "ids", "n_ids", "round_trip")
 
 
 def decoded(rows: DataFrame, path: str = MODEL) -> DataFrame:

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored, table
+from .common import document, slices, stored, table, texts_of, with_text
 
 SYMBOLS = "#*$%&|<>"
 BLANKS = " \t\n\x0b\x0c\r"
@@ -61,18 +61,18 @@ def text_counts(raw: bytes) -> tuple[int, ...]:
     return n, chars, symbols, dup, repeat, sum(map(bytes.isupper, words))
 
 
-def counted(docs: DataFrame, keep: list) -> DataFrame:
-    """``keep`` beside the counts of every whole text; null text counts as empty."""
-    rows = docs.select(F.struct(*keep).alias("row"), F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("raw"))
-    extra = ("n_shout",)
+def counted(docs: DataFrame, keep: list, whole: bool = False) -> DataFrame:
+    """``keep`` beside the counts of every whole text; null text counts as empty. ``whole``: ``keep`` begins with ``document(docs)``."""
+    rows, place = with_text(docs, keep, whole)
+    names = (*COUNTS, "n_shout")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            got = list(zip(*map(text_counts, b.column("raw").to_pylist()), strict=True)) or [[]] * 6
-            yield pa.RecordBatch.from_arrays([b.column("row"), *[pa.array(g, pa.int64()) for g in got]], ["row", *COUNTS, *extra])
+        for b in slices(batches, place):
+            got = list(zip(*[text_counts(t or b"") for t in texts_of(b, place).cast(pa.binary()).to_pylist()], strict=True))
+            yield pa.RecordBatch.from_arrays([b.column("row"), *[pa.array(g, pa.int64()) for g in got]], ["row", *names])
 
-    names = ", ".join(f"{c} long" for c in (*COUNTS, *extra))
-    return rows.mapInArrow(run, f"row {rows.schema['row'].dataType.simpleString()}, {names}").select("row.*", *COUNTS, *extra)
+    schema = f"row {rows.schema['row'].dataType.simpleString()}, " + ", ".join(f"{c} long" for c in names)
+    return rows.mapInArrow(run, schema).select("row.*", *names)
 
 
 def binomial_tail(k: int, n: int, p: float) -> float:
@@ -145,7 +145,7 @@ def kept_documents(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """The rows of ``docs`` that pass, unchanged. The text is read twice and never shuffled."""
     counts = stored(counted(docs, [F.col("doc_id").alias("doc_id"), F.col("lang").alias("stratum")]))
     cutoffs = fitted(counts, labels, **options)
-    rows = counted(docs, [F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("document"), F.col("lang").alias("stratum")])
+    rows = counted(docs, [document(docs), F.col("lang").alias("stratum")], whole=True)
     return rows.filter(verdict(cutoffs, F.col("stratum"))).select("document.*")
 
 

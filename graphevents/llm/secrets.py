@@ -19,7 +19,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import document, slices, table, texts_of, with_text
 
 # The base patterns and the least length of each.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
@@ -156,14 +156,14 @@ def joined(spans) -> str:
     return ",".join(f"{k}:{a}:{b}" for a, b, k in spans)
 
 
-def scanned(docs: DataFrame, keep: list) -> DataFrame:
+def scanned(docs: DataFrame, keep: list, whole: bool = False) -> DataFrame:
     """``keep`` beside ``found``: an array of (start, end, kind) of every whole text. Null and empty texts have none."""
-    rows = docs.select(F.struct(*keep).alias("row"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
+    rows, place = with_text(docs, keep, whole)
     kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("kind", pa.string())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            texts = b.column("text")
+        for b in slices(batches, place):
+            texts = pc.fill_null(texts_of(b, place), "")
             may = {k: pc.match_substring_regex(texts, p) for k, p in MAY.items()}
             some = pc.or_(pc.or_(may["assign"], may["access"]), pc.or_(may["hex"], may["deep"])).to_numpy(zero_copy_only=False)
             may = [may[k].to_numpy(zero_copy_only=False) for k in MAY]
@@ -204,17 +204,19 @@ def redacted(text: str, spans: list[tuple[int, int]], mark: str = "[secret]") ->
 
 def clean_documents(docs: DataFrame) -> DataFrame:
     """All rows of ``docs``; spans in ``text`` are replaced, and ``n_chars``, where there is one, counts the new text."""
-    packed = scanned(docs, [F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("document"), F.col("text").alias("text")])
+    packed = scanned(docs, [document(docs)], whole=True)
 
     @F.pandas_udf("string")
     def hide(texts, found):
         return texts.combine(found, lambda t, f: redacted(t, [(x["start"], x["end"]) for x in f]))
 
     hit = F.size("found") > 0
-    some = packed.filter(hit).withColumn("text", hide("text", "found"))
-    out = packed.filter(~hit).unionByName(some)
-    names = [F.col("text") if c == "text" else F.when(hit, F.length("text")).otherwise(F.col(f"document.`{c}`")).cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(f"document.`{c}`") for c in docs.columns]
-    return out.select(*names)
+    # Only rows with a span go through the second function.
+    some = packed.filter(hit).withColumn("text", hide(F.col("document.text"), "found"))
+    rest = packed.filter(~hit).select("document.*")
+    changed = {"text": F.col("text"), "n_chars": F.length("text")}
+    names = [changed[c].cast(docs.schema[c].dataType).alias(c) if c in changed else F.col(f"document.`{c}`") for c in docs.columns]
+    return rest.unionByName(some.select(*names))
 
 
 def op9(spark, sf_dir: str) -> DataFrame:
