@@ -28,8 +28,8 @@ from pyspark.sql import functions as F
 from .common import document, slices, table, texts_of, with_text
 
 MODEL = os.environ.get("PIECE_MODEL", "/opt/tokenizers/piece_bpe_32k.model")
-#: Words a worker remembers.
-REMEMBERED = 500_000
+#: Words and pairs a worker remembers.
+REMEMBERED, PAIRS = 250_000, 400_000
 MARK = "▁"
 #: Words up to this many characters go through the trie; longer ones are cut into their own pass without being remembered.
 MARKED = re.compile(f"{MARK}+[^{MARK}]*|[^{MARK}]+")
@@ -50,16 +50,18 @@ class Pieces:
         self.byte = [sp.piece_to_id(f"<0x{b:02X}>") for b in range(256)]
         self.of_byte = {i: b for b, i in enumerate(self.byte)}
         self.special = {i for i in range(n) if sp.is_control(i) or sp.is_unknown(i)}
-        #: The longest piece that ends in three characters.
-        self.reach: dict[str, int] = {}
+        #: Lengths of the pieces that end in three characters, longest first.
+        lengths: dict[str, set[int]] = {}
         for t in self.id:
             if len(t) > 2:
-                self.reach[t[-3:]] = max(self.reach.get(t[-3:], 2), len(t))
+                lengths.setdefault(t[-3:], set()).add(len(t))
+        self.lengths = {tail: (*sorted(found, reverse=True), 2) for tail, found in lengths.items()}
         # What each id decodes to alone; bytes above 127 are parts of characters, special pieces decode to nothing.
         self.alone = ["" if i in self.special else chr(self.of_byte[i]) if i in self.of_byte else t.replace(MARK, " ") for i, t in enumerate(self.text)]
         self.parts_of_characters = {i for i, b in self.of_byte.items() if b > 127}
         self.pairs: dict[tuple[str, str], bool] = {}
         self.known: dict[str, list[int]] = {}
+        self.often: set[str] = set()
         crossing = [t for t in self.id if re.search(f"[^{MARK}]{MARK}", t)]
         if crossing:
             raise ValueError(f"pieces that cross a blank, such as {crossing[0]!r}: marked words cannot be segmented on their own")
@@ -82,7 +84,7 @@ class Pieces:
         key = (left, right)
         ok = self.pairs.get(key)
         if ok is None:
-            if len(self.pairs) > 2_000_000:
+            if len(self.pairs) > PAIRS:
                 self.pairs.clear()
             ok = self.pairs[key] = self.merged([*left, *right]) == ([left, right] if left else [right])
         return ok
@@ -92,13 +94,15 @@ class Pieces:
         the longest piece that may follow the state it starts from. No other is possible than the one found; a single
         character is what remains when no longer piece fits."""
         del last[upto + 1 :]
-        known, reach, pairs = self.id, self.reach, self.pairs
+        known, lengths, pairs, other = self.id, self.lengths, self.pairs, (2,)
         for end in range(upto + 1, len(word) + 1):
             found = word[end - 1]
-            for begin in range(max(0, end - reach.get(word[max(0, end - 3) : end], 2)), end - 1):
-                piece = word[begin:end]
+            for n in lengths.get(word[end - 3 : end], other) if end > 2 else other:
+                if n > end:
+                    continue
+                piece = word[end - n : end]
                 if piece in known:
-                    key = (last[begin], piece)
+                    key = (last[end - n], piece)
                     ok = pairs.get(key)
                     if self.stable(*key) if ok is None else ok:
                         found = piece
@@ -118,11 +122,15 @@ class Pieces:
 
     def learn(self, words: set[str]) -> None:
         """Segment all words that are not known, in trie order."""
-        if len(self.known) > REMEMBERED:
-            self.known.clear()
+        if len(self.known) > REMEMBERED:  # what was asked for again stays
+            self.known = {w: self.known[w] for w in self.often}
+            self.often = set()
+        new = words - self.known.keys()
+        if len(self.often) < REMEMBERED // 2:
+            self.often |= words - new
         last: list[str | None] = [""]
         before = ""
-        for word in sorted(words - self.known.keys()):
+        for word in sorted(new):
             upto = len(os.path.commonprefix([before, word]))
             self.forward(word, upto, last)
             self.known[word] = self.ids_of(word, last)
