@@ -174,6 +174,15 @@ class Extractor:
         K.put(g, "enc.w", b["text"].T @ dz)
         K.put(g, "enc.b", dz.sum(axis=0))
 
+    def pair_features(self, h: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, tuple]:
+        """Both tokens' vectors side by side."""
+        return np.hstack([h[i], h[j]]), (i, j)
+
+    def pair_back(self, cache: tuple, dx: np.ndarray, d: np.ndarray) -> None:
+        w = d.shape[1]
+        np.add.at(d, cache[0], dx[:, :w])
+        np.add.at(d, cache[1], dx[:, w : 2 * w])
+
     def loss_and_grads(self, p: K.Params, batch: list[Sentence]) -> tuple[float, K.Params]:
         b = self.collate(batch)
         g: K.Params = {}
@@ -184,11 +193,10 @@ class Extractor:
         la = 0.0
         if len(b["pairs"]):
             i, j, r = b["pairs"].T
-            za, ca = K.mlp(p, "arg", np.hstack([h[i], h[j]]))
+            x, seen = self.pair_features(h, i, j)
+            za, ca = K.mlp(p, "arg", x)
             la, da = K.softmax_loss(za, r)
-            both = K.mlp_back(p, "arg", ca, da, g)
-            np.add.at(d, i, both[:, : self.c.dim])
-            np.add.at(d, j, both[:, self.c.dim :])
+            self.pair_back(seen, K.mlp_back(p, "arg", ca, da, g), d)
         self.states_back(p, b, cache, d, g)
         return lt + la, g
 
@@ -204,7 +212,7 @@ class Extractor:
             args = []
             if pairs:
                 i, j = np.array(pairs).T + o
-                roles = K.mlp(p, "arg", np.hstack([h[i], h[j]]))[0].argmax(axis=1)
+                roles = K.mlp(p, "arg", self.pair_features(h, i, j)[0])[0].argmax(axis=1)
                 args = [(a, c, int(r)) for (a, c), r in zip(pairs, roles, strict=True) if r != NONE]
             out.append({"sent_id": s.sent_id, "triggers": trig, "arguments": args})
         return out
