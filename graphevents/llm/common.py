@@ -49,7 +49,21 @@ def stored(df: DataFrame) -> DataFrame:
     far smaller than a checkpoint of rows."""
     path = f"{shared_dir(df.sparkSession)}/stored-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._stored_at = path
+    return out
+
+
+def discard(*frames: DataFrame) -> None:
+    """Delete what ``stored`` wrote for these frames, and shuffle files that nothing needs any more."""
+    spark = None
+    for df in frames:
+        spark, path = df.sparkSession, getattr(df, "_stored_at", None)
+        if path:
+            p = spark._jvm.org.apache.hadoop.fs.Path(path)
+            p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+    if spark:
+        free_shuffles(spark)
 
 
 @contextlib.contextmanager

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.components import components
-from .common import bucketed, free_shuffles, mixed, slices, stored, table, word_hashes
+from .common import bucketed, discard, free_shuffles, mixed, slices, stored, table, word_hashes
 from .substrings import prefix_names, stretch_names
 
 K, SKETCHES, KEPT, THRESHOLD = 5, 48, 2, 0.8
@@ -140,24 +140,64 @@ def edit_distance(a: list, b: list, most: int) -> int:
 
 
 def features(docs: DataFrame) -> DataFrame:
-    """``id, digest, raw`` -> id, digest, n (words), keys, longer (keys of twice as many stretches, 32 bits), bins (256 counts of 16 bits)."""
+    """``id, digest, raw`` -> id, digest, n (words), keys, longer (keys of twice as many stretches, 32 bits)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, "raw"):
             hashes, offsets = word_hashes(b.column("raw").to_pylist())
             keys = sketched(hashes, offsets)
-            doc = np.repeat(np.arange(b.num_rows), np.diff(offsets))
-            bins = np.bincount(doc * BINS + (hashes >> np.uint64(56)).astype(np.int64), minlength=b.num_rows * BINS)
-            bins = np.minimum(bins, 65535).astype("<u2").reshape(-1, BINS)
             places = np.concatenate([[0], np.cumsum([len(x) for x, _ in keys])]).astype(np.int32)
             flat = np.concatenate([x for x, _ in keys]).view(np.int64)
             more = (np.concatenate([x for _, x in keys]) >> np.uint64(33)).astype(np.int32)
-            yield pa.RecordBatch.from_arrays(
-                [b.column("id"), b.column("digest"), pa.array(np.diff(offsets)), pa.ListArray.from_arrays(places, flat), pa.ListArray.from_arrays(places, more), pa.array([x.tobytes() for x in bins], pa.binary())],
-                ["id", "digest", "n", "keys", "longer", "bins"],
-            )
+            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("digest"), pa.array(np.diff(offsets)), pa.ListArray.from_arrays(places, flat), pa.ListArray.from_arrays(places, more)], ["id", "digest", "n", "keys", "longer"])
+
+    return docs.mapInArrow(run, "id long, digest string, n long, keys array<long>, longer array<int>")
+
+
+def with_bins(texts: DataFrame) -> DataFrame:
+    """``id, n, raw`` with bins: how many words fall in each of 256 classes by hash, 16 bits each."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches, "raw"):
+            hashes, offsets = word_hashes(b.column("raw").to_pylist())
+            doc = np.repeat(np.arange(b.num_rows), np.diff(offsets))
+            bins = np.bincount(doc * BINS + (hashes >> np.uint64(56)).astype(np.int64), minlength=b.num_rows * BINS)
+            bins = np.minimum(bins, 65535).astype("<u2").reshape(-1, BINS)
+            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("n"), pa.array([x.tobytes() for x in bins], pa.binary()), b.column("raw")], ["id", "n", "bins", "raw"])
+
+    return texts.select("id", "n", "raw").mapInArrow(run, "id long, n long, bins binary, raw binary")
 
-    return docs.mapInArrow(run, "id long, digest string, n long, keys array<long>, longer array<int>, bins binary")
+
+def histograms(column: pa.ChunkedArray | pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), "<u2").reshape(-1, BINS).astype(np.int32)
+
+
+def not_ruled_out(mid: DataFrame, yes: DataFrame, texts: DataFrame, far: float, tile: int = 512) -> DataFrame:
+    """``a, c, dc`` and ``a, y, dy`` -> ``a, c, y`` with the same leader a that neither lengths, distances to the leader nor histograms rule out.
+
+    Members of a leader are cut into tiles; a pair of tiles is one task's work, which returns only what is left.
+    """
+    parts = lambda df, name: df.groupBy("a").agg(F.ceil(F.count("*") / tile).cast("int").alias(name))
+    both = parts(mid, "pc").join(parts(yes, "py"), "a")
+    side = texts.select("id", "n", "bins")
+    c = mid.join(both, "a").select("a", F.col("c").alias("id"), F.col("dc").alias("d"), F.lit(True).alias("is_c"), F.pmod(F.xxhash64("c"), "pc").alias("tc"), F.explode(F.sequence(F.lit(0), F.col("py") - 1)).cast("long").alias("ty"))
+    y = yes.join(both, "a").select("a", F.col("y").alias("id"), F.col("dy").alias("d"), F.lit(False).alias("is_c"), F.explode(F.sequence(F.lit(0), F.col("pc") - 1)).cast("long").alias("tc"), F.pmod(F.xxhash64("y"), "py").alias("ty"))
+    rows = c.unionByName(y).join(side, "id")
+
+    def run(table: pa.Table) -> pa.Table:
+        mine = table.column("is_c").to_numpy(zero_copy_only=False)
+        ids, n, d, bins = table.column("id").to_numpy(), table.column("n").to_numpy(), table.column("d").to_numpy(), histograms(table.column("bins"))
+        left, right, out = np.flatnonzero(mine), np.flatnonzero(~mine), ([], [])
+        for i in left:
+            limit = far * np.maximum(n[i], n[right]) + 1e-9
+            j = right[(np.abs(n[i] - n[right]) <= limit) & (np.abs(d[i] - d[right]) <= limit) & (ids[right] != ids[i])]
+            j = j[np.abs(bins[j] - bins[i]).sum(axis=1) / 2 <= far * np.maximum(n[i], n[j]) + 1e-9]
+            out[0].append(np.full(len(j), ids[i]))
+            out[1].append(ids[j])
+        cs, ys = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in out)
+        return pa.table({"a": pa.array(np.full(len(cs), table.column("a")[0].as_py()), pa.int64()), "c": pa.array(cs, pa.int64()), "y": pa.array(ys, pa.int64())})
+
+    return rows.select("a", "tc", "ty", "id", "n", "d", "is_c", "bins").groupBy("a", "tc", "ty").applyInArrow(run, "a long, c long, y long")
 
 
 def compared(pairs: DataFrame, texts: DataFrame, far: float, most: int = 200) -> DataFrame:
@@ -179,8 +219,7 @@ def compared(pairs: DataFrame, texts: DataFrame, far: float, most: int = 200) ->
         for b in batches:
             if not b.num_rows:
                 continue
-            x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), "<u2").reshape(-1, BINS).astype(np.int32) for c in ("binsa", "binsb"))
-            least = np.abs(x - y).sum(axis=1) / 2
+            least = np.abs(histograms(b.column("binsa")) - histograms(b.column("binsb"))).sum(axis=1) / 2
             keep = pa.array(least <= far * np.maximum(b.column("na").to_numpy(), b.column("nb").to_numpy()) + 1e-9)
             yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "salt")], ["a", "b", "salt"])
 
@@ -202,7 +241,9 @@ def compared(pairs: DataFrame, texts: DataFrame, far: float, most: int = 200) ->
             yield pa.RecordBatch.from_arrays([*cols, pa.array([d for d in got if d is not None], pa.int64())], ["a", "b", "na", "nb", "d"])
 
     both = joined(likely, likely.select("a", "salt").distinct(), ("n", "raw"))
-    return stored(both.select("a", "b", "na", "nb", "rawa", "rawb").mapInArrow(align, "a long, b long, na long, nb long, d long"))
+    out = stored(both.select("a", "b", "na", "nb", "rawa", "rawb").mapInArrow(align, "a long, b long, na long, nb long, d long"))
+    discard(dealt, likely)
+    return out
 
 
 def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -226,6 +267,7 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
             least = open_.withColumn("part", F.spark_partition_id()).withColumn("r", rank).filter(F.col("r") <= leaders)
             lead = least.withColumn("r", F.row_number().over(Window.partitionBy("key").orderBy("b"))).filter(F.col("r") <= leaders).select("key", F.col("b").alias("a"))
         mine = stored(open_.join(lead, "key").filter("a < b").select("key", *["longer"] * first, "a", "b", "n"))
+        free_shuffles(spark)
         if mine.isEmpty():
             break
         pairs = stored(fresh(mine.select("a", "b")))
@@ -238,23 +280,24 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
         others = stored(held.filter("d is null").join(split.select("key", "a"), ["key", "a"], "left_semi").select("key", "a", "b", "n"))
         if not others.isEmpty():
             to_lead = compared(others.select("a", "b").distinct(), texts, 2 * far)
-            mid = stored(others.join(to_lead.select("a", "b", F.col("d").alias("dc")), ["a", "b"]).select("key", "a", F.col("b").alias("c"), "dc", F.col("n").alias("nc")))
-            # Once linked to any text of the leader, a text is in its component: it is compared with about eight of them (by hash), then
-            # with four times as many, and so on until it is linked or has met them all.
-            share = F.pmod(F.xxhash64("y"), F.lit(1 << 20)) / float(1 << 20) * F.col("yes")
-            yes = held.filter("d is not null").join(split, ["key", "a"]).select("key", "a", F.col("b").alias("y"), F.col("d").alias("dy"), F.col("n").alias("ny"), "yes")
-            yes = stored(yes.withColumn("share", share).drop("yes"))
-            most = yes.agg(F.max("share")).first()[0] or 0.0
-            low, high = 0.0, 8.0
-            while low <= most and not mid.isEmpty():
-                some = mid.join(yes.filter((F.col("share") >= low) & (F.col("share") < high)), ["key", "a"]).filter(F.col("dc") <= F.col("dy") + far * F.greatest("nc", "ny"))
-                tried = stored(some.select("a", "c", "y", F.least("c", "y").alias("lo"), F.greatest("c", "y").alias("hi")).filter("c <> y").distinct())
+            mid = stored(to_lead.select("a", F.col("b").alias("c"), F.col("d").alias("dc")).join(others.select("a", F.col("b").alias("c")).distinct(), ["a", "c"], "left_semi"))
+            yes = stored(held.filter("d is not null").join(split.select("a").distinct(), "a", "left_semi").groupBy("a", F.col("b").alias("y")).agg(F.min("d").alias("dy")))
+            # Once linked to any text of the leader, a text is in its component. It is compared with about eight of them first, chosen by
+            # hash; the few that are linked to none of these meet all that their histograms do not rule out.
+            count = yes.groupBy("a").agg(F.count("*").alias("k"))
+            some = yes.join(count, "a").filter(F.pmod(F.xxhash64("y"), F.lit(1 << 20)) * F.col("k") < (8 << 20))
+            for tried in (lambda: mid.join(some, "a").select("a", "c", "y"), lambda: not_ruled_out(mid, yes, texts, far)):
+                tried = stored(tried().filter("c <> y").select("a", "c", "y", F.least("c", "y").alias("lo"), F.greatest("c", "y").alias("hi")).distinct())
                 more = stored(fresh(tried.select(F.col("lo").alias("a"), F.col("hi").alias("b"))))
                 found = found.union(compared(more, texts, far))
                 done = done.union(more)
                 met = found.select(F.col("a").alias("lo"), F.col("b").alias("hi")).distinct()
-                mid = stored(mid.join(tried.join(met, ["lo", "hi"]).select("a", "c").distinct(), ["a", "c"], "left_anti"))
-                low, high = high, 4 * high
+                rest = stored(mid.join(tried.join(met, ["lo", "hi"]).select("a", "c").distinct(), ["a", "c"], "left_anti"))
+                discard(mid, tried)
+                mid = rest
+                if mid.isEmpty():
+                    break
+            discard(yes, to_lead)
         # What is linked to a leader, and what led, is settled in its bucket.
         carried = [F.first(c).alias(c) for c in ("n", *["longer"] * first)]
         settled = held.groupBy("key", "b").agg(F.count("d").alias("yes"), *carried).filter("yes = 0")
@@ -267,9 +310,9 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
         else:
             led = mine.select("key", F.col("a").alias("b")).distinct()
             settled = settled.join(led, ["key", "b"], "left_anti")
-        open_ = stored(settled.select("key", "b", "n"))
+        before, open_ = open_, stored(settled.select("key", "b", "n"))
+        discard(before, mine, held, others)
         first, leaders = False, min(4 * leaders, 4096)
-        free_shuffles(spark)
     if found is None:
         return spark.createDataFrame([], "a long, b long")
     return found.select("a", "b").distinct()
@@ -285,10 +328,10 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     raw = F.coalesce(F.col("text"), F.lit("")).cast("binary")
     rows = docs.select(F.col("doc_id").alias("id"), F.md5(raw).alias("digest"), raw.alias("raw"))
     got = features(rows).filter("n > 0 and id is not null")
-    reps = stored(got.groupBy("digest").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("n", "keys", "longer", "bins")]))
+    reps = stored(got.groupBy("digest").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("n", "keys", "longer")]))
     free_shuffles(docs.sparkSession)
-    own = reps.select(F.col("id").alias("i"), F.col("digest").alias("g"), "n", "bins")
-    with bucketed(rows.join(own, (F.col("id") == F.col("i")) & (F.col("digest") == F.col("g"))).dropDuplicates(["id", "digest"]).select("id", "n", "bins", "raw"), "id") as texts:
+    own = reps.select(F.col("id").alias("i"), F.col("digest").alias("g"), "n")
+    with bucketed(with_bins(rows.join(own, (F.col("id") == F.col("i")) & (F.col("digest") == F.col("g"))).dropDuplicates(["id", "digest"])), "id") as texts:
         pairs = stored(links(reps.select("id", "n", "keys", "longer"), texts, threshold))
     members = rows.select("id", "digest").join(reps.select("digest", F.col("id").alias("rep"), "n"), "digest", "left")
     members = stored(members.select("id", "rep", F.coalesce("n", F.lit(0)).cast("long").alias("n")))
