@@ -177,11 +177,11 @@ def not_ruled_out(mid: DataFrame, yes: DataFrame, texts: DataFrame, far: float,
 
     Members of a leader are cut into tiles; a pair of tiles is one task's work, which returns only what is left.
     """
-    parts = lambda df, name: df.groupBy("a").agg(F.ceil(F.count("*") / tile).cast("int").alias(name))
+    parts = lambda df, name: df.groupBy("a").agg(F.ceil(F.count("*") / tile).cast("long").alias(name))
     both = parts(mid, "pc").join(parts(yes, "py"), "a")
     side = texts.select("id", "n", "bins")
-    c = mid.join(both, "a").select("a", F.col("c").alias("id"), F.col("dc").alias("d"), F.lit(True).alias("is_c"), F.pmod(F.xxhash64("c"), "pc").alias("tc"), F.explode(F.sequence(F.lit(0), F.col("py") - 1)).cast("long").alias("ty"))
-    y = yes.join(both, "a").select("a", F.col("y").alias("id"), F.col("dy").alias("d"), F.lit(False).alias("is_c"), F.explode(F.sequence(F.lit(0), F.col("pc") - 1)).cast("long").alias("tc"), F.pmod(F.xxhash64("y"), "py").alias("ty"))
+    c = mid.join(both, "a").select("a", F.col("c").alias("id"), F.col("dc").alias("d"), F.lit(True).alias("is_c"), F.pmod(F.xxhash64("c"), "pc").alias("tc"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("py") - 1)).alias("ty"))
+    y = yes.join(both, "a").select("a", F.col("y").alias("id"), F.col("dy").alias("d"), F.lit(False).alias("is_c"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("pc") - 1)).alias("tc"), F.pmod(F.xxhash64("y"), "py").alias("ty"))
     rows = c.unionByName(y).join(side, "id")
 
     def run(table: pa.Table) -> pa.Table:
