@@ -6,7 +6,7 @@ share a key the likelier the smaller their word edit distance, since both which
 Texts that share a key are candidates; a pair is linked when 1 - distance / longer length >= 0.8 for the word edit distance, which
 a bit-parallel alignment computes within a band.
 
-Candidates are not expanded to all pairs of a bucket. The bucket's least text leads it and every other one is aligned with it.
+Candidates are not expanded to all pairs of a bucket. The bucket's text with most company leads it and every other one is aligned with it.
 Texts linked to their leader are done in that bucket, up to one exception: a text too far from the leader may still be
 linked to one that is done. Distances to the leader rule out nearly all such pairs by the triangle inequality and
 the rest are aligned. What the first leader has not settled goes on, in smaller buckets, to rounds with more leaders each,
@@ -260,27 +260,37 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
 
     while True:
         if first:
-            lead = open_.groupBy("key").agg(F.min("b").alias("a"), F.count("*").alias("in_it")).filter("in_it > 1").select("key", "a")
+            # Rows of buckets with company are few; all that follows is on them. A text's weight is how many texts its buckets hold: texts
+            # with few edits of their own keep most least stretches of their kind and weigh most, and so are close to the others.
+            many = open_.groupBy("key").agg(F.count("*").alias("k")).filter("k > 1")
+            rows = stored(open_.join(many, "key"))
+            free_shuffles(spark)
+            weight = rows.groupBy("b").agg(F.sum("k").alias("w"))
+            rows = stored(rows.drop("k").join(weight, "b"))
+            lead = rows.groupBy("key").agg(F.min(F.struct((-F.col("w")).alias("v"), F.col("b").alias("a"))).alias("m")).select("key", "m.v", "m.a")
         else:
-            # The ``leaders`` least members: each task keeps as many of a bucket before the shuffle.
-            rank = F.row_number().over(Window.partitionBy("key", "part").orderBy("b"))
-            least = open_.withColumn("part", F.spark_partition_id()).withColumn("r", rank).filter(F.col("r") <= leaders)
-            lead = least.withColumn("r", F.row_number().over(Window.partitionBy("key").orderBy("b"))).filter(F.col("r") <= leaders).select("key", F.col("b").alias("a"))
-        mine = stored(open_.join(lead, "key").filter("a < b").select("key", *["longer"] * first, "a", "b", "n"))
+            # The ``leaders`` heaviest members: each task keeps as many of a bucket before the shuffle.
+            rows = open_
+            rank = F.row_number().over(Window.partitionBy("key", "part").orderBy(F.desc("w"), "b"))
+            best = rows.withColumn("part", F.spark_partition_id()).withColumn("r", rank).filter(F.col("r") <= leaders)
+            lead = best.withColumn("r", F.row_number().over(Window.partitionBy("key").orderBy(F.desc("w"), "b"))).filter(F.col("r") <= leaders).select("key", (-F.col("w")).alias("v"), F.col("b").alias("a"))
+        before_it = F.struct("v", "a") < F.struct((-F.col("w")).alias("v"), F.col("b").alias("a"))
+        mine = rows.join(lead, "key").filter(before_it).select("key", *["longer"] * first, "a", "b", "n", "w", F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
+        mine = stored(mine)
         free_shuffles(spark)
         if mine.isEmpty():
             break
-        pairs = stored(fresh(mine.select("a", "b")))
+        pairs = stored(fresh(mine.select(F.col("lo").alias("a"), F.col("hi").alias("b"))))
         near = compared(pairs, texts, far)
         done = pairs if done is None else done.union(pairs)
         found = near if found is None else found.union(near)
-        held = stored(mine.join(found.select("a", "b", "d", F.col("na").alias("n_lead")).distinct(), ["a", "b"], "left"))
+        held = stored(mine.join(found.select(F.col("a").alias("lo"), F.col("b").alias("hi"), "d").distinct(), ["lo", "hi"], "left"))
         # Where a leader is linked to some and not to others: the others may be linked to one of those.
         split = held.groupBy("key", "a").agg(F.count("d").alias("yes"), F.count("*").alias("all")).filter("yes > 0 and yes < all").select("key", "a", "yes")
-        others = stored(held.filter("d is null").join(split.select("key", "a"), ["key", "a"], "left_semi").select("key", "a", "b", "n"))
+        others = stored(held.filter("d is null").join(split.select("key", "a"), ["key", "a"], "left_semi").select("key", "a", "b", "lo", "hi"))
         if not others.isEmpty():
-            to_lead = compared(others.select("a", "b").distinct(), texts, 2 * far)
-            mid = stored(to_lead.select("a", F.col("b").alias("c"), F.col("d").alias("dc")).join(others.select("a", F.col("b").alias("c")).distinct(), ["a", "c"], "left_semi"))
+            to_lead = compared(others.select(F.col("lo").alias("a"), F.col("hi").alias("b")).distinct(), texts, 2 * far)
+            mid = stored(others.select("lo", "hi", "a", F.col("b").alias("c")).distinct().join(to_lead.select(F.col("a").alias("lo"), F.col("b").alias("hi"), F.col("d").alias("dc")), ["lo", "hi"]).select("a", "c", "dc"))
             yes = stored(held.filter("d is not null").join(split.select("a").distinct(), "a", "left_semi").groupBy("a", F.col("b").alias("y")).agg(F.min("d").alias("dy")))
             # Once linked to any text of the leader, a text is in its component. It is compared with about eight of them first, chosen by
             # hash; the few that are linked to none of these meet all that their histograms do not rule out.
@@ -299,18 +309,18 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
                     break
             discard(yes, to_lead)
         # What is linked to a leader, and what led, is settled in its bucket.
-        carried = [F.first(c).alias(c) for c in ("n", *["longer"] * first)]
+        carried = [F.first(c).alias(c) for c in ("n", "w", *["longer"] * first)]
         settled = held.groupBy("key", "b").agg(F.count("d").alias("yes"), *carried).filter("yes = 0")
         if first:
             # The rest of a bucket are mostly texts that share one common passage. They go on in smaller buckets: of texts that agree in
             # twice as many least stretches, and divided by length, with each text in its own class and the next, so that any two
             # texts whose lengths allow a link share one.
             band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.0 / threshold)) + 1e-9).cast("long")
-            settled = settled.select("key", "longer", "b", "n", F.explode(F.array(band, band + 1)).alias("band")).select(F.xxhash64("key", "longer", "band").alias("key"), "b", "n")
+            settled = settled.select("key", "longer", "b", "n", "w", F.explode(F.array(band, band + 1)).alias("band")).select(F.xxhash64("key", "longer", "band").alias("key"), "b", "n", "w")
         else:
             led = mine.select("key", F.col("a").alias("b")).distinct()
             settled = settled.join(led, ["key", "b"], "left_anti")
-        before, open_ = open_, stored(settled.select("key", "b", "n"))
+        before, open_ = open_, stored(settled.select("key", "b", "n", "w"))
         discard(before, mine, held, others)
         first, leaders = False, min(4 * leaders, 4096)
     if found is None:
