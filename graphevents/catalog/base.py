@@ -108,8 +108,8 @@ def pruned(threshold: int = THRESHOLD) -> str:
 
 
 def bfs(levels: int = LEVELS) -> str:
-    """Unrolled levels: ``forest(node, parent, depth, root, path)``; one component."""
-    out = ["lv0 AS MATERIALIZED (SELECT node, CAST(NULL AS VARCHAR) AS parent, 0 AS depth, node AS root, [node] AS path FROM (SELECT src AS node FROM pe WHERE src IN (SELECT node FROM k) GROUP BY src ORDER BY count(*) DESC, src LIMIT 1)), seen0 AS MATERIALIZED (SELECT node FROM lv0)"]
+    """Unrolled levels: ``forest(node, parent, depth, root, path)``; one component besides single terminals."""
+    out = ["lv0 AS MATERIALIZED (SELECT node, CAST(NULL AS VARCHAR) AS parent, 0 AS depth, node AS root, [node] AS path FROM (SELECT src AS node FROM pe WHERE src IN (SELECT node FROM k) GROUP BY src ORDER BY count(*) DESC, src LIMIT 1) UNION ALL SELECT node, NULL, 0, node, [node] FROM k WHERE node NOT IN (SELECT src FROM pe)), seen0 AS MATERIALIZED (SELECT node FROM lv0)"]
     for i in range(1, levels + 1):
         j = i - 1
         out.append(

@@ -17,7 +17,7 @@ GOLD = (
 )
 ID = "etype || '(' || trig_id || ';' || theme || ';' || coalesce(cause, '-') || ')'"
 EVENTS = (
-    f"e0 AS (SELECT sent_id, trig_id, etype, 0 AS level, theme, CAST(NULL AS VARCHAR) AS cause FROM (SELECT sent_id, trig_id, etype, 'e' || theme AS theme FROM sm UNION ALL SELECT sent_id, trig_id, etype, array_to_string(list_transform(themes, x -> 'e' || x), ',') FROM bd) "
+    f"e0 AS (SELECT sent_id, trig_id, etype, 0 AS level, theme, CAST(NULL AS VARCHAR) AS cause FROM (SELECT sent_id, trig_id, etype, 'e' || theme AS theme FROM sm UNION ALL SELECT sent_id, trig_id, etype, array_to_string(list_transform(themes, lambda x: 'e' || x), ',') FROM bd) "
     "UNION ALL SELECT sent_id, trig_id, etype, 0, 'e' || theme, CASE WHEN cause IS NOT NULL THEN 'e' || cause END FROM rg WHERE theme_kind = 'entity' AND (cause_kind IS NULL OR cause_kind = 'entity'))",
     f"i0 AS (SELECT *, {ID} AS event_id FROM e0)",
     *[

@@ -30,7 +30,7 @@ GRAPH = (
     f"x0 AS MATERIALIZED (SELECT g, n, d AS dim, CAST(CAST(('0x' || md5(n)[d + 1]) AS INT) % 7 - 3 AS DOUBLE) AS x FROM (SELECT DISTINCT g, i AS n FROM ge), (SELECT CAST(unnest(range({DIM})) AS INT) AS d))",
 )
 WEIGHTS = (
-    "el AS MATERIALIZED (SELECT g, i, j, exp(list_sum(list_transform(rels, r -> (r % 3) / 2.0))) AS z FROM ge)",
+    "el AS MATERIALIZED (SELECT g, i, j, exp(list_sum(list_transform(rels, lambda r: (r % 3) / 2.0))) AS z FROM ge)",
     "aw AS MATERIALIZED (SELECT g, i, j, z / sum(z) OVER (PARTITION BY g, i) AS a FROM el)",
 )
 
@@ -71,7 +71,7 @@ def conv(gate: str):
     return run
 
 
-GATE = "list_sum(list_transform(rels, r -> (r + {d}) % 3 - 1))"
+GATE = "list_sum(list_transform(rels, lambda r: (r + {d}) % 3 - 1))"
 QUERIES["gnn_edge_softmax_weights"] = (weights, with_notes(*GRAPH, *WEIGHTS) + "SELECT g, i, j, round(a, 4) AS a FROM aw")
 QUERIES["gnn_edge_softmax_layer1"] = (attention(1), with_notes(*GRAPH, *WEIGHTS, layer_sql("x0", "x1")) + sql_rounded("x1"))
 QUERIES["gnn_edge_softmax_layer2"] = (attention(2), with_notes(*GRAPH, *WEIGHTS, layer_sql("x0", "x1"), layer_sql("x1", "x2")) + sql_rounded("x2"))

@@ -122,7 +122,7 @@ def _(spark, t):
 
 @put("op_agg_pivot", "SELECT event_type, count(*) FILTER (user_id % 3 = 0) AS u0, count(*) FILTER (user_id % 3 = 1) AS u1, count(*) FILTER (user_id % 3 = 2) AS u2 FROM events GROUP BY event_type")
 def _(spark, t):
-    p = t("events").withColumn("m", F.concat(F.lit("u"), (F.col("user_id") % 3).cast("string"))).groupBy("event_type").pivot("m", ["u0", "u1", "u2"]).agg(F.count("*"))
+    p = t("events").withColumn("m", F.concat(F.lit("u"), (F.col("user_id") % 3).cast("string"))).groupBy("event_type").pivot("m", ["u0", "u1", "u2"]).agg(F.count(F.lit(1)))
     return p.na.fill(0, ["u0", "u1", "u2"])
 
 
@@ -183,7 +183,7 @@ def _(spark, t):
     return t("orders").select("o_orderkey", F.date_trunc("month", F.col("o_orderdate").cast("timestamp")).cast("timestamp_ntz").alias("month"), F.datediff("o_orderdate", F.lit("1995-01-01").cast("date")).cast("long").alias("days"), F.dayofweek("o_orderdate").cast("long").alias("dow"))
 
 
-@put("op_math", "SELECT vec_id, label, round(sqrt(list_sum(list_transform(embedding, x -> CAST(x AS DOUBLE) * x))), 4) AS norm FROM embeddings")
+@put("op_math", "SELECT vec_id, label, round(sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x))), 4) AS norm FROM embeddings")
 def _(spark, t):
     functions.register(spark)
     return t("embeddings").select("vec_id", "label", F.round(F.expr("vec_norm(cast(embedding as array<double>))"), 4).alias("norm"))
