@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 #: Java / Python pattern of one word.
 WORD = r"[^\x20\x09-\x0D]+"
 #: Bytes of text that one numpy kernel call works on; a longer document is a call of its own.
-CHUNK_BYTES = 2 << 20
+CHUNK_BYTES = 1 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -147,7 +147,7 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     base, inverse = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 1 << 64)
     have = _POWERS.get(0)
     if have is None or len(have[0]) < n:
-        size = max(n, CHUNK_BYTES * 2)
+        size = max(n, CHUNK_BYTES + (1 << 18))
         up, down = np.full(size, base, np.uint64), np.full(size, inverse, np.uint64)
         up[0] = down[0] = 1
         have = (np.multiply.accumulate(up), np.multiply.accumulate(down))

@@ -4,7 +4,7 @@ A source whose target is r times its size gives floor(r) whole copies of every d
 the share f = r - floor(r), is an unequal-probability sample of fixed size: each document gets an inclusion chance
 p = min(1, c * weight) with c set so that the expected words are f times the source's words; it is ranked by
 (u / (1 - u)) / (p / (1 - p)) for a random u made from a hash of its id, and documents are taken in that order while
-the words fit. The last gap is closed by the one document further down the order whose size comes nearest to it.
+the words fit. The last gap is closed by the one document further down the order whose size comes nearest to it, so a source misses its target by at most half of its largest document.
 
 Scale: ranks fall into fixed bins; sums by (source, bin) are combined before the shuffle and tell in which bin a source's
 cut lies, so only rows of that one bin are ever ordered. The bin and source tables are bounded by sources x bins.

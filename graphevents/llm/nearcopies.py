@@ -227,7 +227,7 @@ def compared(pairs: DataFrame, texts: DataFrame, far: float, most: int = 200) ->
     likely = stored(likely.select("a", "b", "salt", "na", "nb", "binsa", "binsb").mapInArrow(bounds, "a long, b long, salt int"))
 
     def align(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches, "rawb"):
             left, last, got = None, None, []
             for x, y in zip(b.column("rawa").to_pylist(), b.column("rawb").to_pylist(), strict=True):
                 if x != last:
