@@ -16,7 +16,7 @@ class Choice:
 
 def estimated_bytes(df: DataFrame) -> int:
     """The optimiser's estimate of a plan's size."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
 
 
 def choose_dictionary(dictionary: DataFrame, limit: int = 64 << 20) -> Choice:
