@@ -9,7 +9,7 @@ a bit-parallel alignment computes within a band.
 Candidates are not expanded to all pairs of a bucket. The bucket's text with most company leads it and every other one is aligned with it.
 Texts linked to their leader are done in that bucket, up to one exception: a text too far from the leader may still be
 linked to one that is done. Distances to the leader rule out nearly all such pairs by the triangle inequality and
-the rest are aligned. What the first leader has not settled goes on, in smaller buckets, to rounds with more leaders each,
+the rest are aligned. What the first leader has not settled goes on, in buckets divided by length, to rounds with more leaders each,
 until no bucket holds two texts. So every pair of a bucket is linked, ruled out, or has both ends in one component already.
 
 Scale: a text leaves its row once, into a table bucketed by text id, which later joins read without moving it; pairs are ids;
@@ -29,13 +29,12 @@ from ..operators.components import components
 from .common import bucketed, discard, free_shuffles, mixed, slices, stored, table, word_hashes
 from .substrings import prefix_names, stretch_names
 
-K, SKETCHES, KEPT, THRESHOLD = 5, 48, 2, 0.8
+K, SKETCHES, KEPT, THRESHOLD = 5, 64, 2, 0.8
 BINS = 256
 
 
-def sketched(hashes: np.ndarray, offsets: np.ndarray, k: int = K, sketches: int = SKETCHES, seed: int = 11) -> list[tuple[np.ndarray, np.ndarray]]:
-    """The keys of each text, and keys of twice as many least stretches in the same orders. A text of fewer than ``k`` words is one
-    stretch, a text without words has no key."""
+def sketched(hashes: np.ndarray, offsets: np.ndarray, k: int = K, sketches: int = SKETCHES, seed: int = 11) -> list[np.ndarray]:
+    """The keys of each text. A text of fewer than ``k`` words is one stretch, a text without words has no key."""
     sizes = np.diff(offsets)
     stretches = np.where(sizes == 0, 0, np.maximum(sizes - k + 1, 1))
     at = np.concatenate([[0], np.cumsum(stretches)])
@@ -56,23 +55,22 @@ def sketched(hashes: np.ndarray, offsets: np.ndarray, k: int = K, sketches: int
     none = np.uint64(0xFFFFFFFFFFFFFFFF)
     for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
         if a == b:
-            out.append((np.zeros(0, np.uint64),) * 2)
+            out.append(np.zeros(0, np.uint64))
             continue
         names, labels = name[a:b], label[a:b]
-        keys, longer = [], []
+        keys = []
         step = max(1, (1 << 20) // (b - a))  # bounds the table of ranks for very long texts
         for s in range(0, sketches, step):
             rank = labels[None] * factors[s : s + step, None]
             rows, least = np.arange(len(rank)), []
-            for _ in range(min(2 * KEPT, b - a)):
+            for _ in range(min(KEPT, b - a)):
                 least.append(rank.argmin(axis=1))
                 rank[rows, least[-1]] = none
-            for n, kept in ((KEPT, keys), (2 * KEPT, longer)):
-                key = salt[s : s + step]
-                for places in np.sort(np.stack(least[:n]), axis=0):
-                    key = mixed(key * np.uint64(3) + names[places])
-                kept.append(key)
-        out.append((np.concatenate(keys), np.concatenate(longer)))
+            key = salt[s : s + step]
+            for places in np.sort(np.stack(least), axis=0):
+                key = mixed(key * np.uint64(3) + names[places])
+            keys.append(key)
+        out.append(np.concatenate(keys))
     return out
 
 
@@ -140,18 +138,17 @@ def edit_distance(a: list, b: list, most: int) -> int:
 
 
 def features(docs: DataFrame) -> DataFrame:
-    """``id, digest, raw`` -> id, digest, n (words), keys, longer (keys of twice as many stretches, 32 bits)."""
+    """``id, digest, raw`` -> id, digest, n (words), keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, "raw"):
             hashes, offsets = word_hashes(b.column("raw").to_pylist())
             keys = sketched(hashes, offsets)
-            places = np.concatenate([[0], np.cumsum([len(x) for x, _ in keys])]).astype(np.int32)
-            flat = np.concatenate([x for x, _ in keys]).view(np.int64)
-            more = (np.concatenate([x for _, x in keys]) >> np.uint64(33)).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("digest"), pa.array(np.diff(offsets)), pa.ListArray.from_arrays(places, flat), pa.ListArray.from_arrays(places, more)], ["id", "digest", "n", "keys", "longer"])
+            places = np.concatenate([[0], np.cumsum([len(x) for x in keys])]).astype(np.int32)
+            flat = np.concatenate(keys).view(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("digest"), pa.array(np.diff(offsets)), pa.ListArray.from_arrays(places, flat)], ["id", "digest", "n", "keys"])
 
-    return docs.mapInArrow(run, "id long, digest string, n long, keys array<long>, longer array<int>")
+    return docs.mapInArrow(run, "id long, digest string, n long, keys array<long>")
 
 
 def with_bins(texts: DataFrame) -> DataFrame:
@@ -250,7 +247,7 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
     """``a, b`` pairs of texts (ids) within the threshold that connect all pairs which share a bucket and are within it."""
     far = 1.0 - threshold
     spark = reps.sparkSession
-    open_ = reps.select(F.explode(F.arrays_zip("keys", "longer")).alias("x"), F.col("id").alias("b"), "n").select(F.col("x.keys").alias("key"), F.col("x.longer").alias("longer"), "b", "n")
+    open_ = reps.select(F.explode("keys").alias("key"), F.col("id").alias("b"), "n")
     found, done, leaders = None, None, 1
     first = True
 
@@ -275,7 +272,7 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
             best = rows.withColumn("part", F.spark_partition_id()).withColumn("r", rank).filter(F.col("r") <= leaders)
             lead = best.withColumn("r", F.row_number().over(Window.partitionBy("key").orderBy(F.desc("w"), "b"))).filter(F.col("r") <= leaders).select("key", (-F.col("w")).alias("v"), F.col("b").alias("a"))
         before_it = F.struct("v", "a") < F.struct((-F.col("w")).alias("v"), F.col("b").alias("a"))
-        mine = rows.join(lead, "key").filter(before_it).select("key", *["longer"] * first, "a", "b", "n", "w", F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
+        mine = rows.join(lead, "key").filter(before_it).select("key", "a", "b", "n", "w", F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
         mine = stored(mine)
         free_shuffles(spark)
         if mine.isEmpty():
@@ -309,14 +306,13 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
                     break
             discard(yes, to_lead)
         # What is linked to a leader, and what led, is settled in its bucket.
-        carried = [F.first(c).alias(c) for c in ("n", "w", *["longer"] * first)]
+        carried = [F.first(c).alias(c) for c in ("n", "w")]
         settled = held.groupBy("key", "b").agg(F.count("d").alias("yes"), *carried).filter("yes = 0")
         if first:
-            # The rest of a bucket are mostly texts that share one common passage. They go on in smaller buckets: of texts that agree in
-            # twice as many least stretches, and divided by length, with each text in its own class and the next, so that any two
-            # texts whose lengths allow a link share one.
+            # The rest of a bucket are mostly texts that share one common passage. They go on in buckets divided by length, with each
+            # text in its own class and the next, so that any two texts whose lengths allow a link share one.
             band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.0 / threshold)) + 1e-9).cast("long")
-            settled = settled.select("key", "longer", "b", "n", "w", F.explode(F.array(band, band + 1)).alias("band")).select(F.xxhash64("key", "longer", "band").alias("key"), "b", "n", "w")
+            settled = settled.select("key", "b", "n", "w", F.explode(F.array(band, band + 1)).alias("band")).select(F.xxhash64("key", "band").alias("key"), "b", "n", "w")
         else:
             led = mine.select("key", F.col("a").alias("b")).distinct()
             settled = settled.join(led, ["key", "b"], "left_anti")
@@ -338,11 +334,11 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     raw = F.coalesce(F.col("text"), F.lit("")).cast("binary")
     rows = docs.select(F.col("doc_id").alias("id"), F.md5(raw).alias("digest"), raw.alias("raw"))
     got = features(rows).filter("n > 0 and id is not null")
-    reps = stored(got.groupBy("digest").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("n", "keys", "longer")]))
+    reps = stored(got.groupBy("digest").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("n", "keys")]))
     free_shuffles(docs.sparkSession)
     own = reps.select(F.col("id").alias("i"), F.col("digest").alias("g"), "n")
     with bucketed(with_bins(rows.join(own, (F.col("id") == F.col("i")) & (F.col("digest") == F.col("g"))).dropDuplicates(["id", "digest"])), "id") as texts:
-        pairs = stored(links(reps.select("id", "n", "keys", "longer"), texts, threshold))
+        pairs = stored(links(reps.select("id", "n", "keys"), texts, threshold))
     members = rows.select("id", "digest").join(reps.select("digest", F.col("id").alias("rep"), "n"), "digest", "left")
     members = stored(members.select("id", "rep", F.coalesce("n", F.lit(0)).cast("long").alias("n")))
     of_text = members.filter("rep is not null and id is not null").select("id", "rep").distinct()

@@ -95,6 +95,14 @@ def test_near_copies_against_all_pairs(spark):
     assert [got[i] for i in range(len(texts))] == up
 
 
+def test_texts_left_by_the_first_leader_are_compared(spark):
+    words = [f"w{i}" for i in range(40)]
+    texts = ["other " * 40, " ".join(words), " ".join(words[:36] + ["x"] * 4)]
+    rows = spark.createDataFrame([(i, 40, bytearray(t.encode()), [7], [i]) for i, t in enumerate(texts)], "id long, n long, raw binary, keys array<long>, longer array<int>")
+    with nearcopies.bucketed(nearcopies.with_bins(rows), "id") as kept:
+        assert [tuple(r) for r in nearcopies.links(rows.drop("raw"), kept).collect()] == [(1, 2)]
+
+
 def test_mix_meets_targets(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     rows = mixing.mix(spark, docs).toPandas().merge(docs.select("doc_id", "source").toPandas(), on="doc_id")
