@@ -227,6 +227,22 @@ def test_licences_and_inheritance(spark):
     assert got[4] == (None, "none", None) and got[6] == ("MIT", "inherited", "a") and got[5][1] == "none"
 
 
+@pytest.mark.parametrize("size", ["sf0.001", "sf0.01"])
+def test_every_licence_line_of_the_tables_is_found(spark, size):
+    docs = spark.read.parquet(f"/root/testdata/{size}/documents.parquet").select(F.col("doc_id").cast("string").alias("path"), "text")
+    lines = docs.select("path", F.explode(F.split("text", "\n")).alias("line")).filter(F.col("line").rlike(licences.CUE))
+    found = licences.line_matches(docs).groupBy("path").agg(F.collect_set("license").alias("l"))
+    assert lines.join(found, "path", "left_anti").count() == 0
+    reserved = lines.filter("line = 'All rights reserved.'").join(found, "path").filter("array_contains(l, 'Proprietary')")
+    assert reserved.count() == lines.filter("line = 'All rights reserved.'").count() > 0
+
+
+def test_a_wrapped_statement_is_found_by_its_block(spark):
+    text = "# Licensed under the\n# Apache License,\n# Version 2.0.\n\n" + "some code here " * 30
+    got = licences.scanned(spark.createDataFrame([(1, "a/x", text)], "id long, path string, text string")).first()
+    assert (got["license"], got["origin"]) == ("Apache-2.0", "header")
+
+
 def test_pipeline_stages(spark, sf):
     import corpus_pipeline
 
