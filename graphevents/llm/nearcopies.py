@@ -286,7 +286,7 @@ def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> Da
         split = held.groupBy("key", "a").agg(F.count("d").alias("yes"), F.count("*").alias("all")).filter("yes > 0 and yes < all").select("key", "a", "yes")
         others = stored(held.filter("d is null").join(split.select("key", "a"), ["key", "a"], "left_semi").select("key", "a", "b", "lo", "hi"))
         if not others.isEmpty():
-            to_lead = compared(others.select(F.col("lo").alias("a"), F.col("hi").alias("b")).distinct(), texts, 2 * far)
+            to_lead = compared(others.select(F.col("lo").alias("a"), F.col("hi").alias("b")).distinct(), texts, 2 * far / (1 - far))  # a linked text may be longer than both
             mid = stored(others.select("lo", "hi", "a", F.col("b").alias("c")).distinct().join(to_lead.select(F.col("a").alias("lo"), F.col("b").alias("hi"), F.col("d").alias("dc")), ["lo", "hi"]).select("a", "c", "dc"))
             yes = stored(held.filter("d is not null").join(split.select("a").distinct(), "a", "left_semi").groupBy("a", F.col("b").alias("y")).agg(F.min("d").alias("dy")))
             # Once linked to any text of the leader, a text is in its component. It is compared with about eight of them first, chosen by

@@ -103,6 +103,14 @@ def test_texts_left_by_the_first_leader_are_compared(spark):
         assert [tuple(r) for r in nearcopies.links(rows.drop("raw"), kept).collect()] == [(1, 2)]
 
 
+def test_a_text_linked_through_a_longer_one_is_compared(spark):
+    words = [f"w{i}" for i in range(125)]
+    texts = [words[:100], words, words[25:]]
+    rows = spark.createDataFrame([(i, len(t), bytearray(" ".join(t).encode()), [7]) for i, t in enumerate(texts)], "id long, n long, raw binary, keys array<long>")
+    with nearcopies.bucketed(nearcopies.with_bins(rows), "id") as kept:
+        assert sorted(tuple(r) for r in nearcopies.links(rows.drop("raw"), kept).collect()) == [(0, 1), (1, 2)]
+
+
 def test_mix_meets_targets(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     rows = mixing.mix(spark, docs).toPandas().merge(docs.select("doc_id", "source").toPandas(), on="doc_id")
