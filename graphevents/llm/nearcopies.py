@@ -6,14 +6,21 @@ share a key the likelier the smaller their word edit distance, since both which
 Texts that share a key are candidates; a pair is linked when 1 - distance / longer length >= 0.8 for the word edit distance, which
 a bit-parallel alignment computes within a band.
 
-Candidates are not expanded to all pairs of a bucket. The bucket's text with most company leads it and every other one is aligned with it.
-Texts linked to their leader are done in that bucket, up to one exception: a text too far from the leader may still be
-linked to one that is done. Distances to the leader rule out nearly all such pairs by the triangle inequality and
-the rest are aligned. What the first leader has not settled goes on, in buckets divided by length, to rounds with more leaders each,
-until no bucket holds two texts. So every pair of a bucket is linked, ruled out, or has both ends in one component already.
-
-Scale: a text leaves its row once, into a table bucketed by text id, which later joins read without moving it; pairs are ids;
-word histograms (256 counts) rule out most false candidates by a lower bound of the distance before any text is read.
+Classes need only links that connect, so a bucket is never expanded to its pairs:
+
+1. The bucket's text with most company leads it and is aligned with every other one (as many pairs as rows). Buckets whose texts
+   are in one component by now are done.
+2. In the others, pairs of different components are held against a lower bound of their distance (lengths and word
+   histograms) inside tiles of bounded size. A tile returns a spanning forest of the pairs that are left, never the pairs; its
+   components are families. All pairs of a bucket that may be linked and are not yet in one component are in one family.
+3. A family's texts meet in tiles, where pairs of different components are aligned, the likeliest first; a tile returns a
+   spanning forest of links. Tiles of one and the same component never meet.
+
+So every pair of texts that share a bucket is linked, ruled out, or has both ends in one component already.
+
+Scale: a text leaves its row once, if it has company, into a table bucketed by text id, which later joins read without moving it. Rows
+made are in proportion to bucket rows, but for groups beyond a tile, whose rows are repeated once for each other tile: texts of a
+family that are neither linked nor ruled out by histograms must all be aligned, whatever the form.
 """
 
 from __future__ import annotations
@@ -22,7 +29,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.components import components
@@ -31,6 +38,8 @@ from .substrings import prefix_names, stretch_names
 
 K, SKETCHES, KEPT, THRESHOLD = 5, 64, 2, 0.8
 BINS = 256
+#: Texts of one tile, when histograms and when whole texts are compared; rows and words that small groups are packed to.
+TILE, TEXT_TILE, PACK_ROWS, PACK_WORDS = 4096, 128, 8192, 200_000
 
 
 def sketched(hashes: np.ndarray, offsets: np.ndarray, k: int = K, sketches: int = SKETCHES, seed: int = 11) -> list[np.ndarray]:
@@ -138,7 +147,7 @@ def edit_distance(a: list, b: list, most: int) -> int:
 
 
 def features(docs: DataFrame) -> DataFrame:
-    """``id, digest, raw`` -> id, digest, n (words), keys."""
+    """``doc, digest, raw`` -> doc, digest, n (words), keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, "raw"):
@@ -146,55 +155,146 @@ def features(docs: DataFrame) -> DataFrame:
             keys = sketched(hashes, offsets)
             places = np.concatenate([[0], np.cumsum([len(x) for x in keys])]).astype(np.int32)
             flat = np.concatenate(keys).view(np.int64)
-            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("digest"), pa.array(np.diff(offsets)), pa.ListArray.from_arrays(places, flat)], ["id", "digest", "n", "keys"])
+            yield pa.RecordBatch.from_arrays([b.column("doc"), b.column("digest"), pa.array(np.diff(offsets)), pa.ListArray.from_arrays(places, flat)], ["doc", "digest", "n", "keys"])
+
+    return docs.mapInArrow(run, "doc long, digest string, n long, keys array<long>")
+
 
-    return docs.mapInArrow(run, "id long, digest string, n long, keys array<long>")
+def counts(hashes: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """How many words of each text fall in each of 256 classes by hash, 255 at most."""
+    n = len(offsets) - 1
+    doc = np.repeat(np.arange(n), np.diff(offsets))
+    found = np.bincount(doc * BINS + (hashes >> np.uint64(56)).astype(np.int64), minlength=n * BINS)
+    return np.minimum(found, 255).astype(np.uint8).reshape(n, BINS)
 
 
 def with_bins(texts: DataFrame) -> DataFrame:
-    """``id, n, raw`` with bins: how many words fall in each of 256 classes by hash, 16 bits each."""
+    """``id, n, raw`` with bins, the word histogram."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, "raw"):
-            hashes, offsets = word_hashes(b.column("raw").to_pylist())
-            doc = np.repeat(np.arange(b.num_rows), np.diff(offsets))
-            bins = np.bincount(doc * BINS + (hashes >> np.uint64(56)).astype(np.int64), minlength=b.num_rows * BINS)
-            bins = np.minimum(bins, 65535).astype("<u2").reshape(-1, BINS)
+            bins = counts(*word_hashes(b.column("raw").to_pylist()))
             yield pa.RecordBatch.from_arrays([b.column("id"), b.column("n"), pa.array([x.tobytes() for x in bins], pa.binary()), b.column("raw")], ["id", "n", "bins", "raw"])
 
     return texts.select("id", "n", "raw").mapInArrow(run, "id long, n long, bins binary, raw binary")
 
 
 def histograms(column: pa.ChunkedArray | pa.Array) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), "<u2").reshape(-1, BINS).astype(np.int32)
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, BINS)
+
 
+def apart(one: np.ndarray, others: np.ndarray) -> np.ndarray:
+    """A lower bound of the word edit distance: one edit changes a histogram by 2 at most, and cutting counts off only lowers it."""
+    return (np.maximum(one, others) - np.minimum(one, others)).sum(axis=1, dtype=np.int32) / 2
 
-def not_ruled_out(mid: DataFrame, yes: DataFrame, texts: DataFrame, far: float, tile: int = 512) -> DataFrame:
-    """``a, c, dc`` and ``a, y, dy`` -> ``a, c, y`` with the same leader a that neither lengths, distances to the leader nor histograms rule out.
 
-    Members of a leader are cut into tiles; a pair of tiles is one task's work, which returns only what is left.
+def met(rows: DataFrame, size: int, packs: int) -> DataFrame:
+    """``grp, id, comp, ...`` -> also g, lo, hi, tile: any two rows of a group with different comp share a (g, lo, hi).
+
+    Groups of up to ``size`` rows are packed whole into ``packs`` packs. Larger ones are cut into tiles of about ``size`` rows, a large
+    component of the group into tiles of its own; a row goes to every pair that its tile forms, but for two of one component.
     """
-    parts = lambda df, name: df.groupBy("a").agg(F.ceil(F.count("*") / tile).cast("long").alias(name))
-    both = parts(mid, "pc").join(parts(yes, "py"), "a")
-    side = texts.select("id", "n", "bins")
-    c = mid.join(both, "a").select("a", F.col("c").alias("id"), F.col("dc").alias("d"), F.lit(True).alias("is_c"), F.pmod(F.xxhash64("c"), "pc").alias("tc"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("py") - 1)).alias("ty"))
-    y = yes.join(both, "a").select("a", F.col("y").alias("id"), F.col("dy").alias("d"), F.lit(False).alias("is_c"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("pc") - 1)).alias("tc"), F.pmod(F.xxhash64("y"), "py").alias("ty"))
-    rows = c.unionByName(y).join(side, "id")
-
-    def run(table: pa.Table) -> pa.Table:
-        mine = table.column("is_c").to_numpy(zero_copy_only=False)
-        ids, n, d, bins = table.column("id").to_numpy(), table.column("n").to_numpy(), table.column("d").to_numpy(), histograms(table.column("bins"))
-        left, right, out = np.flatnonzero(mine), np.flatnonzero(~mine), ([], [])
-        for i in left:
-            limit = far * np.maximum(n[i], n[right]) + 1e-9
-            j = right[(np.abs(n[i] - n[right]) <= limit) & (np.abs(d[i] - d[right]) <= limit) & (ids[right] != ids[i])]
-            j = j[np.abs(bins[j] - bins[i]).sum(axis=1) / 2 <= far * np.maximum(n[i], n[j]) + 1e-9]
-            out[0].append(np.full(len(j), ids[i]))
-            out[1].append(ids[j])
-        cs, ys = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in out)
-        return pa.table({"a": pa.array(np.full(len(cs), table.column("a")[0].as_py()), pa.int64()), "c": pa.array(cs, pa.int64()), "y": pa.array(ys, pa.int64())})
-
-    return rows.select("a", "tc", "ty", "id", "n", "d", "is_c", "bins").groupBy("a", "tc", "ty").applyInArrow(run, "a long, c long, y long")
+    blocks = rows.groupBy("grp", "comp").agg(F.count("*").alias("k"))
+    whole = blocks.groupBy("grp").agg(F.sum("k").alias("all"), F.sum(F.when(F.col("k") <= size, F.col("k"))).alias("rest"))
+    large = whole.filter(F.col("all") > size).select("grp", F.ceil(F.coalesce("rest", F.lit(0)) / size).cast("long").alias("shared"))
+    own = blocks.join(large, "grp").select("grp", "comp", F.when(F.col("k") > size, F.ceil(F.col("k") / size).cast("long")).alias("own"), "shared")
+    small = rows.join(large.select("grp"), "grp", "left_anti").withColumns({"g": F.pmod(F.xxhash64("grp"), F.lit(packs)), "lo": F.lit(0).cast("long"), "hi": F.lit(0).cast("long"), "tile": F.lit(0).cast("long")})
+    if large.isEmpty():
+        return small
+    name = lambda part, block: F.xxhash64("grp", block, part)
+    upto = lambda k: F.explode(F.sequence(F.lit(0).cast("long"), F.col(k) - 1)).alias("part")
+    shared = large.filter("shared > 0").select("grp", F.lit(None).cast("long").alias("block"), upto("shared"))
+    tiles = shared.union(own.filter("own is not null").select("grp", F.col("comp").alias("block"), upto("own")))
+    tiles = tiles.select("grp", F.col("block").alias("other_block"), name(F.col("part"), F.col("block")).alias("other"))
+    block = F.when(F.col("own").isNotNull(), F.col("comp"))
+    cut = rows.join(own, ["grp", "comp"]).withColumn("block", block)
+    cut = cut.withColumn("tile", name(F.pmod(F.xxhash64(F.when(F.col("own").isNotNull(), F.col("id")).otherwise(F.col("comp"))), F.coalesce("own", "shared")), F.col("block")))
+    pairs = cut.join(tiles, "grp").filter(F.col("block").isNull() | ~F.col("block").eqNullSafe(F.col("other_block")))
+    pairs = pairs.withColumns({"g": F.col("grp"), "lo": F.least("tile", "other"), "hi": F.greatest("tile", "other")})
+    return small.unionByName(pairs.select(*small.columns))
+
+
+class Forest:
+    """Union-find over a few numbered things."""
+
+    def __init__(self, start: np.ndarray) -> None:
+        _, first, self.of = np.unique(start, return_index=True, return_inverse=True)
+        self.of = first[self.of]
+
+    def join(self, i: int, j: int) -> None:
+        self.of[self.of == self.of[j]] = self.of[i]
+
+
+def in_groups(group: pa.Table) -> Iterator[tuple[np.ndarray, list[tuple[int, np.ndarray]]]]:
+    """The rows of each group in a pack or tile pair, and for each of its rows the later ones that it meets."""
+    grp, tile = group.column("grp").to_numpy(), group.column("tile").to_numpy()
+    lo, hi = group.column("lo")[0].as_py(), group.column("hi")[0].as_py()
+    order = np.lexsort((group.column("id").to_numpy(), grp))
+    for rows in np.split(order, np.flatnonzero(np.diff(grp[order])) + 1):
+        if lo == hi:
+            yield rows, [(i, np.arange(i + 1, len(rows))) for i in range(len(rows) - 1)]
+        else:
+            left, right = np.flatnonzero(tile[rows] == lo), np.flatnonzero(tile[rows] == hi)
+            yield rows, [(i, right) for i in left.tolist()]
+
+
+def families(rows: DataFrame, far: float) -> DataFrame:
+    """``grp, id, n, comp, bins`` -> ``a, b``: a spanning forest of the pairs of different components that lengths and histograms leave."""
+
+    def run(group: pa.Table) -> pa.Table:
+        ids, n, comp = (group.column(c).to_numpy() for c in ("id", "n", "comp"))
+        bins, out = histograms(group.column("bins")), ([], [])
+        for rows, meets in in_groups(group):
+            mine, lengths, of, trees = ids[rows], n[rows], comp[rows], Forest(np.arange(len(rows)))
+            for i, later in meets:
+                limit = far * np.maximum(lengths[i], lengths[later]) + 1e-9
+                j = later[(of[later] != of[i]) & (trees.of[later] != trees.of[i]) & (np.abs(lengths[later] - lengths[i]) <= limit)]
+                if not len(j):
+                    continue
+                j = j[apart(bins[rows[i]], bins[rows[j]]) <= far * np.maximum(lengths[i], lengths[j]) + 1e-9]
+                for x in j.tolist():
+                    if trees.of[x] != trees.of[i]:
+                        trees.join(i, x)
+                        out[0].append(mine[i])
+                        out[1].append(mine[x])
+        return pa.table({"a": pa.array(out[0], pa.int64()), "b": pa.array(out[1], pa.int64())})
+
+    columns = ["g", "lo", "hi", "grp", "tile", "id", "n", "comp", "bins"]
+    return rows.select(*columns).groupBy("g", "lo", "hi").applyInArrow(run, "a long, b long")
+
+
+def aligned(rows: DataFrame, far: float) -> DataFrame:
+    """``grp, id, n, comp, raw`` -> ``a, b``: links between texts of different components, as many as connect what they connect."""
+
+    def run(group: pa.Table) -> pa.Table:
+        ids, n, comp = (group.column(c).to_numpy() for c in ("id", "n", "comp"))
+        raw, out = group.column("raw").to_pylist(), ([], [])
+        bins, numbers = counts(*word_hashes(raw)), {}
+        for rows, meets in in_groups(group):
+            texts = [None] * len(rows)
+
+            def words(i: int) -> list[int]:
+                if texts[i] is None:
+                    texts[i] = [numbers.setdefault(w, len(numbers)) for w in raw[rows[i]].split()]
+                return texts[i]
+
+            lengths, trees = n[rows], Forest(comp[rows])
+            for i, later in meets:
+                j = later[(trees.of[later] != trees.of[i]) & (np.abs(lengths[later] - lengths[i]) <= far * np.maximum(lengths[i], lengths[later]) + 1e-9)]
+                if not len(j):
+                    continue
+                least = apart(bins[rows[i]], bins[rows[j]])
+                likely = np.argsort(least, kind="stable")
+                for x, bound in zip(j[likely].tolist(), least[likely].tolist(), strict=True):
+                    most = int(far * max(lengths[i], lengths[x]) + 1e-9)
+                    if bound <= most and trees.of[x] != trees.of[i] and edit_distance(words(i), words(x), most) <= most:
+                        trees.join(i, x)
+                        out[0].append(ids[rows[i]])
+                        out[1].append(ids[rows[x]])
+        return pa.table({"a": pa.array(out[0], pa.int64()), "b": pa.array(out[1], pa.int64())})
+
+    columns = ["g", "lo", "hi", "grp", "tile", "id", "n", "comp", "raw"]
+    return rows.select(*columns).groupBy("g", "lo", "hi").applyInArrow(run, "a long, b long")
 
 
 def compared(pairs: DataFrame, texts: DataFrame, far: float, most: int = 200) -> DataFrame:
@@ -243,85 +343,51 @@ def compared(pairs: DataFrame, texts: DataFrame, far: float, most: int = 200) ->
     return out
 
 
-def links(reps: DataFrame, texts: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """``a, b`` pairs of texts (ids) within the threshold that connect all pairs which share a bucket and are within it."""
+def led(rows: DataFrame) -> DataFrame:
+    """``key, id, doc, k`` (rows of the key) -> ``a, b``: every text of a bucket with the bucket's leader.
+
+    The leader has most company over all its buckets: texts with few edits of their own keep most least stretches of their kind
+    and so are close to the others.
+    """
+    weight = rows.groupBy("id").agg(F.sum("k").alias("w"))
+    rows = rows.select("key", "id", "doc").join(weight, "id")
+    lead = rows.groupBy("key").agg(F.min(F.struct((-F.col("w")).alias("w"), "doc", F.col("id").alias("a"))).alias("m")).select("key", "m.a")
+    both = rows.join(lead, "key").filter("id <> a")
+    return both.select(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).distinct()
+
+
+def named(ids: DataFrame, found: DataFrame, column: str) -> DataFrame:
+    """``ids`` with ``column``: the component of ``id`` in ``found`` (node, component), the id itself where it has none."""
+    return ids.join(found.withColumnRenamed("node", "id"), "id", "left").withColumn(column, F.coalesce("component", "id")).drop("component")
+
+
+def linked(rows: DataFrame, texts: DataFrame, same: DataFrame, threshold: float) -> DataFrame:
+    """``key, id, n, k`` -> ``node, component`` of the texts (ids) that share buckets; ``same`` (src, dst) are linked beforehand."""
     far = 1.0 - threshold
-    spark = reps.sparkSession
-    open_ = reps.select(F.explode("keys").alias("key"), F.col("id").alias("b"), "n")
-    found, done, leaders = None, None, 1
-    first = True
-
-    def fresh(pairs: DataFrame) -> DataFrame:
-        pairs = pairs.distinct()
-        return pairs if done is None else pairs.join(done, ["a", "b"], "left_anti")
-
-    while True:
-        if first:
-            # Rows of buckets with company are few; all that follows is on them. A text's weight is how many texts its buckets hold: texts
-            # with few edits of their own keep most least stretches of their kind and weigh most, and so are close to the others.
-            many = open_.groupBy("key").agg(F.count("*").alias("k")).filter("k > 1")
-            rows = stored(open_.join(many, "key"))
-            free_shuffles(spark)
-            weight = rows.groupBy("b").agg(F.sum("k").alias("w"))
-            rows = stored(rows.drop("k").join(weight, "b"))
-            lead = rows.groupBy("key").agg(F.min(F.struct((-F.col("w")).alias("v"), F.col("b").alias("a"))).alias("m")).select("key", "m.v", "m.a")
-        else:
-            # The ``leaders`` heaviest members: each task keeps as many of a bucket before the shuffle.
-            rows = open_
-            rank = F.row_number().over(Window.partitionBy("key", "part").orderBy(F.desc("w"), "b"))
-            best = rows.withColumn("part", F.spark_partition_id()).withColumn("r", rank).filter(F.col("r") <= leaders)
-            lead = best.withColumn("r", F.row_number().over(Window.partitionBy("key").orderBy(F.desc("w"), "b"))).filter(F.col("r") <= leaders).select("key", (-F.col("w")).alias("v"), F.col("b").alias("a"))
-        before_it = F.struct("v", "a") < F.struct((-F.col("w")).alias("v"), F.col("b").alias("a"))
-        mine = rows.join(lead, "key").filter(before_it).select("key", "a", "b", "n", "w", F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
-        mine = stored(mine)
-        free_shuffles(spark)
-        if mine.isEmpty():
-            break
-        pairs = stored(fresh(mine.select(F.col("lo").alias("a"), F.col("hi").alias("b"))))
-        near = compared(pairs, texts, far)
-        done = pairs if done is None else done.union(pairs)
-        found = near if found is None else found.union(near)
-        held = stored(mine.join(found.select(F.col("a").alias("lo"), F.col("b").alias("hi"), "d").distinct(), ["lo", "hi"], "left"))
-        # Where a leader is linked to some and not to others: the others may be linked to one of those.
-        split = held.groupBy("key", "a").agg(F.count("d").alias("yes"), F.count("*").alias("all")).filter("yes > 0 and yes < all").select("key", "a", "yes")
-        others = stored(held.filter("d is null").join(split.select("key", "a"), ["key", "a"], "left_semi").select("key", "a", "b", "lo", "hi"))
-        if not others.isEmpty():
-            to_lead = compared(others.select(F.col("lo").alias("a"), F.col("hi").alias("b")).distinct(), texts, 2 * far / (1 - far))  # a linked text may be longer than both
-            mid = stored(others.select("lo", "hi", "a", F.col("b").alias("c")).distinct().join(to_lead.select(F.col("a").alias("lo"), F.col("b").alias("hi"), F.col("d").alias("dc")), ["lo", "hi"]).select("a", "c", "dc"))
-            yes = stored(held.filter("d is not null").join(split.select("a").distinct(), "a", "left_semi").groupBy("a", F.col("b").alias("y")).agg(F.min("d").alias("dy")))
-            # Once linked to any text of the leader, a text is in its component. It is compared with about eight of them first, chosen by
-            # hash; the few that are linked to none of these meet all that their histograms do not rule out.
-            count = yes.groupBy("a").agg(F.count("*").alias("k"))
-            some = yes.join(count, "a").filter(F.pmod(F.xxhash64("y"), F.lit(1 << 20)) * F.col("k") < (8 << 20))
-            for tried in (lambda: mid.join(some, "a").select("a", "c", "y"), lambda: not_ruled_out(mid, yes, texts, far)):
-                tried = stored(tried().filter("c <> y").select("a", "c", "y", F.least("c", "y").alias("lo"), F.greatest("c", "y").alias("hi")).distinct())
-                more = stored(fresh(tried.select(F.col("lo").alias("a"), F.col("hi").alias("b"))))
-                found = found.union(compared(more, texts, far))
-                done = done.union(more)
-                met = found.select(F.col("a").alias("lo"), F.col("b").alias("hi")).distinct()
-                rest = stored(mid.join(tried.join(met, ["lo", "hi"]).select("a", "c").distinct(), ["a", "c"], "left_anti"))
-                discard(mid, tried)
-                mid = rest
-                if mid.isEmpty():
-                    break
-            discard(yes, to_lead)
-        # What is linked to a leader, and what led, is settled in its bucket.
-        carried = [F.first(c).alias(c) for c in ("n", "w")]
-        settled = held.groupBy("key", "b").agg(F.count("d").alias("yes"), *carried).filter("yes = 0")
-        if first:
-            # The rest of a bucket are mostly texts that share one common passage. They go on in buckets divided by length, with each
-            # text in its own class and the next, so that any two texts whose lengths allow a link share one.
-            band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.0 / threshold)) + 1e-9).cast("long")
-            settled = settled.select("key", "b", "n", "w", F.explode(F.array(band, band + 1)).alias("band")).select(F.xxhash64("key", "band").alias("key"), "b", "n", "w")
-        else:
-            led = mine.select("key", F.col("a").alias("b")).distinct()
-            settled = settled.join(led, ["key", "b"], "left_anti")
-        before, open_ = open_, stored(settled.select("key", "b", "n", "w"))
-        discard(before, mine, held, others)
-        first, leaders = False, min(4 * leaders, 4096)
-    if found is None:
-        return spark.createDataFrame([], "a long, b long")
-    return found.select("a", "b").distinct()
+    first = compared(stored(led(rows)), texts, far)
+    found = stored(components(first.select(F.col("a").alias("src"), F.col("b").alias("dst")).union(same)))
+    # Buckets with more than one component, divided by length: each text is in its own class and the next, so two texts whose
+    # lengths allow a link share one.
+    open_ = named(rows.select("key", "id", "n"), found, "comp")
+    open_ = stored(open_.join(open_.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).filter("x < y").select("key"), "key", "left_semi"))
+    band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.0 / threshold)) + 1e-9).cast("long")
+    open_ = open_.select(F.explode(F.array(band, band + 1)).alias("band"), "key", "id", "n", "comp").select(F.xxhash64("key", "band").alias("grp"), "id", "n", "comp")
+    several = open_.groupBy("grp").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).filter("x < y").select("grp")
+    open_ = stored(open_.join(several, "grp", "left_semi"))
+    packs = 1 + open_.count() // PACK_ROWS
+    left = stored(families(met(open_.join(texts.select("id", "bins"), "id"), TILE, packs), far))
+    own = stored(components(left.select(F.col("a").alias("src"), F.col("b").alias("dst"))))
+    inside = own.select(F.col("node").alias("id"), F.col("component").alias("grp")).join(texts.select("id", "n"), "id")
+    inside = stored(named(inside, found, "comp"))
+    packs = 1 + int(inside.agg(F.sum("n")).first()[0] or 0) // PACK_WORDS
+    more = stored(aligned(met(inside, TEXT_TILE, packs).join(texts.select("id", "raw"), "id"), far))
+    # Links of the second step join components of the first.
+    ends = named(named(more.withColumnRenamed("a", "id"), found, "src").drop("id").withColumnRenamed("b", "id"), found, "dst").drop("id")
+    joined = stored(components(ends.select("src", "dst")))
+    out = found.withColumnRenamed("component", "id").join(joined.withColumnRenamed("node", "id"), "id", "left").select("node", F.coalesce("component", "id").alias("component"))
+    alone = joined.join(found.select("node"), "node", "left_anti")
+    discard(first, open_, left, own, inside, more)
+    return stored(out.union(alone))
 
 
 def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -329,31 +395,44 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
 
     Equal texts are one text; a text without words (null, empty, blanks) is in no class but its own. Rows that share a doc_id
     count as one document, whose classes are joined. A null doc_id is in no class, with a null class_id, and is kept. Ties and repeated
-    rows do not matter. Extra columns are ignored, an empty table gives an empty result.
+    rows do not matter. Extra columns are ignored, an empty table gives an empty result. ``doc_id`` is an integer.
     """
     raw = F.coalesce(F.col("text"), F.lit("")).cast("binary")
-    rows = docs.select(F.col("doc_id").alias("id"), F.md5(raw).alias("digest"), raw.alias("raw"))
-    got = features(rows).filter("n > 0 and id is not null")
-    reps = stored(got.groupBy("digest").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("n", "keys")]))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc"), F.md5(raw).alias("digest"), raw.alias("raw"))
+    got = features(rows).filter("n > 0 and doc is not null")
+    # A text is known by a number of its own from here on, the same in all that reads the stored table.
+    reps = got.groupBy("digest").agg(F.min("doc").alias("doc"), *[F.first(c).alias(c) for c in ("n", "keys")])
+    reps = stored(reps.withColumn("id", F.monotonically_increasing_id()))
+    free_shuffles(docs.sparkSession)
+    open_ = reps.select(F.explode("keys").alias("key"), "id", "doc", "n")
+    many = open_.groupBy("key").agg(F.count("*").alias("k")).filter("k > 1")
+    company = stored(open_.join(many, "key"))
     free_shuffles(docs.sparkSession)
-    own = reps.select(F.col("id").alias("i"), F.col("digest").alias("g"), "n")
-    with bucketed(with_bins(rows.join(own, (F.col("id") == F.col("i")) & (F.col("digest") == F.col("g"))).dropDuplicates(["id", "digest"])), "id") as texts:
-        pairs = stored(links(reps.select("id", "n", "keys"), texts, threshold))
-    members = rows.select("id", "digest").join(reps.select("digest", F.col("id").alias("rep"), "n"), "digest", "left")
-    members = stored(members.select("id", "rep", F.coalesce("n", F.lit(0)).cast("long").alias("n")))
-    of_text = members.filter("rep is not null and id is not null").select("id", "rep").distinct()
-    twice = of_text.groupBy("id").agg(F.count_distinct("rep").alias("k")).filter("k > 1").select("id")
-    whole = components(pairs.select(F.col("a").alias("src"), F.col("b").alias("dst")).union(of_text.join(twice, "id", "left_semi")))
-    joined = of_text.join(whole, F.col("rep") == F.col("node"), "left").groupBy("id").agg(F.min(F.coalesce("component", "rep")).alias("class_id"))
-    out = members.select("id", "n").join(joined.withColumnRenamed("id", "i"), F.col("id") == F.col("i"), "left")
-    class_id = F.coalesce("class_id", "id")
-    return out.select(F.col("id").alias("doc_id"), class_id.alias("class_id"), F.coalesce(F.col("id") == class_id, F.lit(True)).alias("kept"), F.col("n").alias("n_words"))
+    members = stored(rows.select("doc", "digest").join(reps.select("digest", "id", "n"), "digest", "left").select("doc", "id", F.coalesce("n", F.lit(0)).cast("long").alias("n")))
+    # Several texts under one doc_id are one document, so they are linked.
+    of_text = members.filter("id is not null and doc is not null").select("doc", "id").distinct()
+    least = of_text.groupBy("doc").agg(F.min("id").alias("src"), F.max("id").alias("y")).filter("src < y").select("doc", "src")
+    same = of_text.join(least, "doc").filter("src < id").select("src", F.col("id").alias("dst"))
+    own = reps.select(F.col("doc").alias("d"), F.col("digest").alias("g"), "id", "n").join(company.select("id").distinct(), "id", "left_semi")
+    with bucketed(with_bins(rows.join(own, (F.col("doc") == F.col("d")) & (F.col("digest") == F.col("g"))).dropDuplicates(["id"])), "id") as texts:
+        found = linked(company, texts, same, threshold)
+    of_doc = of_text.join(found, F.col("id") == F.col("node"), "left").groupBy("doc").agg(F.min(F.coalesce("component", "id")).alias("component"))
+    heads = of_doc.groupBy("component").agg(F.min("doc").alias("class_id"))
+    joined = of_doc.join(heads, "component").select(F.col("doc").alias("i"), "class_id")
+    out = members.select("doc", "n").join(joined, F.col("doc") == F.col("i"), "left")
+    class_id = F.coalesce("class_id", "doc")
+    return out.select(F.col("doc").alias("doc_id"), class_id.alias("class_id"), F.coalesce(F.col("doc") == class_id, F.lit(True)).alias("kept"), F.col("n").alias("n_words"))
 
 
 def distinct_documents(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows of ``docs`` of one document a class: that with the least doc_id. Rows without an id stay."""
-    gone = classes(docs, threshold).filter(~F.col("kept")).select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
+    """One row of ``docs`` a class: that with the least doc_id, and of rows that share it the one whose text has the least digest.
+    Rows without an id stay, and so do texts without words, each under its own id. Columns may have any names."""
+    kept = classes(docs, threshold).filter("kept and doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("rows")).select(F.col("doc_id").alias("kept_id"), "rows")
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("document"), F.col("doc_id").cast("long").alias("own_id"))
+    mine = packed.join(kept, F.col("own_id") == F.col("kept_id"))
+    once = mine.filter("rows = 1").select("document")
+    again = mine.filter("rows > 1").groupBy("own_id").agg(F.min_by("document", F.struct(F.md5(F.coalesce(F.col("document.text"), F.lit(""))), F.to_json("document"))).alias("document")).select("document")
+    return once.union(again).union(packed.filter("own_id is null").select("document")).select("document.*")
 
 
 def op10(spark, sf_dir: str) -> DataFrame:
