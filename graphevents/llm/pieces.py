@@ -9,8 +9,9 @@ A marked word is a run of the blank mark and the characters up to the next one;
 are segmented on their own. The distinct ones of a batch are sorted, which lays out their trie in depth-first order: the
 forward states of a common prefix stay on the stack from one word to the next and are not computed again.
 
-Scale: a narrow map over the rows. Each Python worker keeps the words it has met in a table of bounded size; what it
-holds does not change results. The model's file is read by path on every executor (its path is a parameter).
+Scale: a narrow map over the rows, in pieces of about 2 MB of text. Each Python worker keeps the words it has met, with their ids as
+bytes, in a table of bounded size; what it holds does not change results. The model's file is read by path on every executor
+(its path is a parameter; ``PIECE_MODEL`` in the environment of the driver sets the default).
 """
 
 from __future__ import annotations
@@ -19,8 +20,8 @@ import functools
 import os
 import re
 from collections.abc import Iterator
-from itertools import chain
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -28,10 +29,11 @@ from pyspark.sql import functions as F
 from .common import document, slices, table, texts_of, with_text
 
 MODEL = os.environ.get("PIECE_MODEL", "/opt/tokenizers/piece_bpe_32k.model")
-#: Words and pairs a worker remembers.
-REMEMBERED, PAIRS = 250_000, 400_000
+#: Bytes of words (with their ids) and number of pairs that a worker remembers; bytes of text it takes at a time.
+REMEMBERED, PAIRS, PIECE_BYTES = 48 << 20, 250_000, 2 << 20
+#: Bytes that an entry of the word table takes besides its characters and ids.
+ENTRY = 200
 MARK = "▁"
-#: Words up to this many characters go through the trie; longer ones are cut into their own pass without being remembered.
 MARKED = re.compile(f"{MARK}+[^{MARK}]*|[^{MARK}]+")
 
 
@@ -60,8 +62,10 @@ class Pieces:
         self.alone = ["" if i in self.special else chr(self.of_byte[i]) if i in self.of_byte else t.replace(MARK, " ") for i, t in enumerate(self.text)]
         self.parts_of_characters = {i for i, b in self.of_byte.items() if b > 127}
         self.pairs: dict[tuple[str, str], bool] = {}
-        self.known: dict[str, list[int]] = {}
+        self.packed = {t: i.to_bytes(4, "little") for t, i in self.id.items()}
+        self.known: dict[str, bytes] = {}
         self.often: set[str] = set()
+        self.held = 0
         crossing = [t for t in self.id if re.search(f"[^{MARK}]{MARK}", t)]
         if crossing:
             raise ValueError(f"pieces that cross a blank, such as {crossing[0]!r}: marked words cannot be segmented on their own")
@@ -109,39 +113,50 @@ class Pieces:
                         break
             last.append(found)
 
-    def ids_of(self, word: str, last: list[str | None]) -> list[int]:
-        """Back from the end over the forward states; characters without a piece become their bytes."""
-        out: list[list[int]] = []
-        at = len(word)
+    def ids_of(self, word: str, last: list[str | None]) -> bytes:
+        """Back from the end over the forward states, as 32-bit ids; characters without a piece become their bytes."""
+        out: list[bytes] = []
+        at, packed = len(word), self.packed
         while at:
             piece = last[at]
-            i = self.id.get(piece)
-            out.append([i] if i is not None else [self.byte[b] for b in piece.encode("utf-8")])
+            ids = packed.get(piece)
+            out.append(ids if ids is not None else b"".join([self.byte[b].to_bytes(4, "little") for b in piece.encode("utf-8")]))
             at -= len(piece)
-        return [i for part in reversed(out) for i in part]
+        out.reverse()
+        return b"".join(out)
 
     def learn(self, words: set[str]) -> None:
-        """Segment all words that are not known, in trie order."""
-        if len(self.known) > REMEMBERED:  # what was asked for again stays
+        """Segment all words that are not known, in trie order. A word is given with its marks, or plain where it has one."""
+        if self.held > REMEMBERED:  # what was asked for again stays
             self.known = {w: self.known[w] for w in self.often}
             self.often = set()
+            self.held = sum(2 * len(w) + len(x) + ENTRY for w, x in self.known.items())
         new = words - self.known.keys()
-        if len(self.often) < REMEMBERED // 2:
+        if len(self.often) * ENTRY < REMEMBERED // 2:
             self.often |= words - new
         last: list[str | None] = [""]
         before = ""
         for word in sorted(new):
-            upto = len(os.path.commonprefix([before, word]))
-            self.forward(word, upto, last)
-            self.known[word] = self.ids_of(word, last)
-            before = word
-
-    def encode(self, texts: list[str]) -> list[list[int]]:
+            whole = word if word[0] == MARK else MARK + word
+            upto, most = 0, min(len(before), len(whole))
+            while upto < most and before[upto] == whole[upto]:
+                upto += 1
+            self.forward(whole, upto, last)
+            ids = self.known[word] = self.ids_of(whole, last)
+            self.held += 2 * len(word) + len(ids) + ENTRY
+            before = whole
+
+    def encode(self, texts: list[str]) -> list[np.ndarray]:
         """Ids of each text: the blank mark in front of a text that is not empty and in place of every space."""
-        split = [MARKED.findall(MARK + t.replace(" ", MARK)) if t else [] for t in texts]
+        split = []
+        for t in texts:
+            if MARK in t or "  " in t or t[:1] == " " or t[-1:] == " ":
+                split.append(MARKED.findall(MARK + t.replace(" ", MARK)))
+            else:  # every space stands between two words
+                split.append(t.split(" ") if t else [])
         self.learn(set().union(*split) if split else set())
         known = self.known
-        return [list(chain.from_iterable(map(known.__getitem__, words))) for words in split]
+        return [np.frombuffer(b"".join(map(known.__getitem__, words)), "<i4") for words in split]
 
     def decode(self, ids: list[int]) -> str:
         """The text of ids: byte pieces are put together, marks become spaces, the mark in front goes."""
@@ -168,6 +183,23 @@ def pieces(path: str = MODEL) -> Pieces:
     return Pieces(path)
 
 
+def encoded_rows(rows: DataFrame, place: str, path: str) -> DataFrame:
+    """``row`` and the text at ``place`` -> row, ids, n_ids, round_trip."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = pieces(path)
+        for b in slices(batches, place, PIECE_BYTES):
+            texts = texts_of(b, place).to_pylist()
+            got = model.encode([t or "" for t in texts])
+            back = [None if t is None else model.decode(g.tolist()) == t for t, g in zip(texts, got, strict=True)]
+            sizes = np.array([len(g) for g in got], np.int32)
+            gone = pa.array([t is None for t in texts], pa.bool_())
+            ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.array(np.concatenate(got), pa.int32()), mask=gone)
+            yield pa.RecordBatch.from_arrays([b.column("row"), ids, pa.array(sizes), pa.array(back, pa.bool_())], ["row", "ids", "n_ids", "round_trip"])
+
+    return rows.mapInArrow(run, f"row {rows.schema['row'].dataType.simpleString()}, ids array<int>, n_ids int, round_trip boolean")
+
+
 def encoded(docs: DataFrame, path: str = MODEL) -> DataFrame:
     """The columns of ``docs`` with ids (array of int), n_ids and round_trip (decoding gives the text back).
 
@@ -175,18 +207,7 @@ def encoded(docs: DataFrame, path: str = MODEL) -> DataFrame:
     its place; round_trip is false then. Columns of ``docs`` that are named like the new ones are replaced by them.
     """
     rows, place = with_text(docs, [document(docs.drop("ids", "n_ids", "round_trip"))], whole=True)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = pieces(path)
-        for b in slices(batches, place, 8 << 20):  # larger pieces share more prefixes
-            texts = texts_of(b, place).to_pylist()
-            got = model.encode([t or "" for t in texts])
-            back = [None if t is None else model.decode(g) == t for t, g in zip(texts, got, strict=True)]
-            ids = pa.array([None if t is None else g for t, g in zip(texts, got, strict=True)], pa.list_(pa.int32()))
-            yield pa.RecordBatch.from_arrays([b.column("row"), ids, pa.array(list(map(len, got)), pa.int32()), pa.array(back, pa.bool_())], ["row", "ids", "n_ids", "round_trip"])
-
-    out = rows.mapInArrow(run, f"row {rows.schema['row'].dataType.simpleString()}, ids array<int>, n_ids int, round_trip boolean")
-    return out.select("row.document.*", "ids", "n_ids", "round_trip")
+    return encoded_rows(rows, place, path).select("row.document.*", "ids", "n_ids", "round_trip")
 
 
 def decoded(rows: DataFrame, path: str = MODEL) -> DataFrame:
@@ -202,5 +223,5 @@ def decoded(rows: DataFrame, path: str = MODEL) -> DataFrame:
 
 def op4(spark, sf_dir: str) -> DataFrame:
     """One row a document: doc_id, n_ids, ids, round_trip, over every whole text."""
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return encoded(docs).select("doc_id", "n_ids", "ids", "round_trip")
+    rows, place = with_text(table(spark, sf_dir, "documents"), [F.col("doc_id").alias("doc_id")], whole=False)
+    return encoded_rows(rows, place, MODEL).select("row.doc_id", "n_ids", "ids", "round_trip")
