@@ -3,10 +3,14 @@
 Records are ordered by a digest of their text, then id, so copies of a text lie side by side and everything else is in random
 order. A size-weighted sample of keys gives quantile boundaries that cut this order into many small ranges; an exact sum per
 range shows where each range begins in the whole order, ranges that turn out overfull are subdivided at further sampled keys, and a
-running sum inside each range then gives every record its exact place. Where a record's middle byte falls decides its shard.
+running sum inside each range then gives every record its exact place.
 
-The result depends on the order alone, never on the sample: boundaries only decide which task does the work. Copies of
-one text stay in one shard while together they are small beside it; a heavier group is divided like any other rows.
+Equal texts share a shard. Groups of them (or single records) heavier than a twentieth of a shard, of which there are at most 20 for
+each shard, are dealt out first, the heaviest to the emptiest shard; the room that is left is filled up to one level, in the order of
+the other records, a group of copies going where its middle byte falls. Only a group heavier than a whole shard is
+divided, into whole shards and a rest.
+
+The result depends on the order alone, never on the sample: boundaries only decide which task does the work.
 """
 
 from __future__ import annotations
@@ -60,6 +64,33 @@ def placed(rows: DataFrame, bounds: list[str]) -> DataFrame:
     return out.withColumn("part", F.when(F.col("c") < 0, F.lit(0)).otherwise(F.col("c") * step + smaller(F.col("fine"))).cast("long")).drop("c", "fine")
 
 
+def dealt(heavy: list[tuple[str, int]], total: int, shards: int) -> tuple[dict[tuple[str, int], int], list[float]]:
+    """(digest, weight) of the heavy groups -> the shard of each (digest, part of a group), and the place among the other records, by
+    bytes, up to which each shard is filled."""
+    fair = max(1.0, total / shards)
+    parts = [(min(fair, weight - k * fair), digest, k) for digest, weight in heavy for k in range(pieces_of(weight, fair))]
+    load, of = [0.0] * shards, {}
+    for weight, digest, k in sorted(parts, key=lambda x: (-x[0], x[1:])):
+        at = min(range(shards), key=lambda s: (load[s], s))
+        load[at] += weight
+        of[digest, k] = at
+    # The level that the other records fill all shards to.
+    room, level = total - sum(load), 0.0
+    for k, low in enumerate(sorted(load), 1):
+        if room + sum(sorted(load)[:k]) >= k * low:
+            level = (room + sum(sorted(load)[:k])) / k
+    upto, at = [], 0.0
+    for have in load:
+        at += max(0.0, level - have)
+        upto.append(at)
+    return of, upto
+
+
+def pieces_of(weight: int, fair: float) -> int:
+    """Parts of a group: one, unless it is heavier than a shard."""
+    return max(1, int(-(-weight // fair)))
+
+
 def sharded(docs: DataFrame, *, shards: int = SHARDS, range_rows: int = RANGE_ROWS) -> DataFrame:
     """One row a record: doc_id, size, text_crc32, law, shard, slot, grown_shard (null under this law).
 
@@ -79,21 +110,35 @@ def sharded(docs: DataFrame, *, shards: int = SHARDS, range_rows: int = RANGE_RO
         inner = splitters(placed(rows, bounds).filter(F.col("part").isin(over)).drop("part"), 4 * len(over))
         bounds = sorted({*bounds, *inner})
     rows = placed(rows, bounds)
-    held = sorted((r["part"], r["bytes"]) for r in rows.groupBy("part").agg(F.sum("size").alias("bytes")).collect())
-    begin, at = [], 0
-    for part, size in held:
-        begin.append((part, at))
-        at += size
-    rows = rows.join(F.broadcast(spark.createDataFrame(begin, "part long, begin long")), "part")
-    run = Window.partitionBy("part").orderBy("key")
-    rows = rows.withColumn("upto", F.col("begin") + F.sum("size").over(run.rowsBetween(Window.unboundedPreceding, 0)))
-
-    # Groups of copies: where they begin and what they weigh, summed before the shuffle.
+
+    # Groups of copies by range, then whole: a hot group is many rows of few ranges.
     fair = max(1.0, total / shards)
-    groups = rows.groupBy("digest").agg(F.count("*").alias("k"), F.min(F.col("upto") - F.col("size")).alias("first"), F.sum("size").alias("weight")).filter((F.col("k") > 1) & (F.col("weight") <= fair / 20))
-    rows = rows.join(groups.select(F.col("digest").alias("d"), "first", "weight"), F.col("digest") == F.col("d"), "left")
-    middle = F.coalesce(F.col("first") + F.col("weight") / 2, F.col("upto") - F.col("size") / 2)
-    rows = rows.withColumn("shard", F.least(F.lit(shards - 1), F.floor(middle * shards / max(1, total))).cast("int"))
+    by_part = rows.groupBy("digest", "part").agg(F.count("*").alias("k"), F.sum("size").alias("bytes"))
+    groups = stored(by_part.groupBy("digest").agg(F.sum("k").alias("k"), F.sum("bytes").alias("weight")).filter((F.col("k") > 1) | (F.col("weight") > fair / 20)))
+    heavy = sorted((r["digest"], r["weight"]) for r in groups.filter(F.col("weight") > fair / 20).collect())  # 20 a shard at most
+    of, upto = dealt(heavy, total, shards)
+    spread = spark.createDataFrame([(d, w, [of[d, k] for k in range(pieces_of(w, fair))]) for d, w in heavy], "heavy string, whole long, shards array<int>")
+    rows = rows.join(F.broadcast(spread), F.col("digest") == F.col("heavy"), "left").withColumn("light", F.when(F.col("heavy").isNull(), F.col("size")).otherwise(0))
+
+    sums = sorted((r["part"], r["bytes"], r["light"]) for r in rows.groupBy("part").agg(F.sum("size").alias("bytes"), F.sum("light").alias("light")).collect())
+    begin, at, light_at = [], 0, 0
+    for part, size, light in sums:
+        begin.append((part, at, light_at))
+        at, light_at = at + size, light_at + light
+    rows = rows.join(F.broadcast(spark.createDataFrame(begin, "part long, begin long, light_begin long")), "part")
+    run = Window.partitionBy("part").orderBy("key").rowsBetween(Window.unboundedPreceding, 0)
+    rows = rows.withColumn("upto", F.col("begin") + F.sum("size").over(run)).withColumn("light_upto", F.col("light_begin") + F.sum("light").over(run))
+    rows = stored(rows)
+    first = rows.groupBy("digest", "part").agg(F.min(F.col("upto") - F.col("size")).alias("first"), F.min(F.col("light_upto") - F.col("light")).alias("light_first"))
+    first = first.join(groups.filter("k > 1"), "digest")
+    head = first.groupBy("digest").agg(F.min("first").alias("first"), F.min("light_first").alias("light_first"))
+    first = first.select("digest", "part", "weight").join(head, "digest").select(F.col("digest").alias("d"), F.col("part").alias("p"), "weight", "first", "light_first")
+    rows = rows.join(first, (F.col("digest") == F.col("d")) & (F.col("part") == F.col("p")), "left")
+    middle = F.coalesce(F.col("light_first") + F.col("weight") / 2, F.col("light_upto") - F.col("light") / 2)
+    filled = F.size(F.filter(F.array(*[F.lit(float(x)) for x in upto]), lambda x: x <= middle))
+    piece = F.floor((F.col("upto") - F.col("size") / 2 - F.coalesce("first", F.col("upto") - F.col("size"))) / F.lit(fair))
+    own = F.element_at("shards", (F.least(F.size("shards") - 1, piece) + 1).cast("int"))
+    rows = rows.withColumn("shard", F.when(F.col("heavy").isNotNull(), own).otherwise(F.least(F.lit(shards - 1), filled)).cast("int"))
     rows = stored(rows.select("doc_id", "size", "text_crc32", "key", "part", "shard"))
 
     counts = sorted((r["shard"], r["part"], r["n"]) for r in rows.groupBy("shard", "part").agg(F.count("*").alias("n")).collect())
@@ -121,4 +166,5 @@ def range_of(key: str, bounds: list[str]) -> int:
 
 
 def op8(spark, sf_dir: str) -> DataFrame:
+    """All ``documents`` in 24 shards under the law ``bytes``; odd rows as in ``sharded``."""
     return sharded(table(spark, sf_dir, "documents"))
