@@ -2,13 +2,16 @@
 
 Plain patterns give the base spans. Runs of base64, base64url or hex characters are then decoded and reported only when what
 they decode to has the structure of a secret: a private key in nested length-prefixed (DER) form, a key in the wire format of
-the SSH tools, or a signed token whose header is JSON with an algorithm. Armoured keys are decoded the same way.
+the SSH tools, or a signed token whose header is JSON with an algorithm. Armoured keys are decoded the same way; the header lines
+of older armour are read, and a body that they declare encrypted must fill whole cipher blocks. The outer length of a key tells
+where it ends, so a key may be wrapped over lines, begin anywhere in a run of hex digits, and be followed by other text.
 """
 
 from __future__ import annotations
 
 import base64
 import binascii
+import bisect
 import hashlib
 import json
 import re
@@ -28,16 +31,24 @@ HEX = re.compile(r"[0-9a-f]+")
 KINDS = ("assign", "access", "hex", "private_key", "ssh_key", "signed_token")
 
 LONG_HEX = re.compile(r"[0-9a-f]{32,}")
-ARMOUR = re.compile(r"-----BEGIN ([A-Z0-9 ]*PRIVATE KEY)-----([A-Za-z0-9+/=\s]*?)-----END \1-----")
+ARMOUR = re.compile(r"-----BEGIN ([A-Z0-9 ]*PRIVATE KEY)-----\s*((?:[A-Za-z][A-Za-z0-9-]*:[^\n]*(?:\n[ \t][^\n]*)*\n\s*)*)([A-Za-z0-9+/=\s]*?)-----END \1-----")
 TOKEN = re.compile(r"(?<![A-Za-z0-9_.-])([A-Za-z0-9_-]{8,})\.([A-Za-z0-9_-]{2,})\.([A-Za-z0-9_-]*)(?![A-Za-z0-9_-])")
-BASE64 = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{40,}={0,2}(?![A-Za-z0-9+/_-])")
+#: A run of base64 characters, on through following lines that begin with such characters.
+BASE64 = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{40,}(?:[ \t]*\r?\n[ \t]*[A-Za-z0-9+/_-]+)*={0,2}")
+#: Where in such a run a key may begin: a line whose first byte is 0x30, or with the magic of the SSH tools.
+LINE = re.compile(r"(?:^|(?<=[\s]))(?=M[A-P]|b3BlbnNza)")
+ANY_HEX = re.compile(r"[0-9A-Fa-f]{64,}")
+#: In a run of hex digits: a sequence with a length of one byte or of one to four more, or the same magic.
+HEX_START = re.compile(r"(?=30(?:[2-7][0-9A-F]|8[1-4])|6F70656E7373682D6B6579)", re.I)
 #: A text that none of these occurs in can hold no span: RE2, on the whole Arrow column at once.
 MAY = {
     "assign": r"(?i)passw(?:or)?d|secret|token|api_?key",
     "access": r"AKIA",
     "hex": r"[0-9a-f]{32}",
-    "deep": r"[A-Za-z0-9+/_-]{40}|-----BEGIN |\.[A-Za-z0-9_-]*\.",
+    "deep": r"[A-Za-z0-9+/_-]{40}|-----BEGIN |[A-Za-z0-9_-]{8}\.[A-Za-z0-9_-]{2,}\.",
 }
+#: A key in the form of the SSH tools, whose parts tell its length only one after the other, has at most so many bytes.
+SSH_BYTES = 1 << 16
 #: Object identifiers of public-key algorithms, DER-encoded: RSA, EC, Ed25519, X25519.
 KEY_KINDS = (bytes.fromhex("2a864886f70d010101"), bytes.fromhex("2a8648ce3d0201"), bytes.fromhex("2b6570"), bytes.fromhex("2b656e"))
 
@@ -92,18 +103,47 @@ def is_private_key(data: bytes) -> bool:
     return False
 
 
-def is_ssh_key(data: bytes) -> bool:
-    """The private form of the SSH tools: its magic, then length-prefixed cipher, derivation, options and a key count."""
+def der_length(data: bytes) -> int | None:
+    """Bytes of the sequence that ``data`` begins with, by its outer length."""
+    if len(data) < 2 or data[0] != 0x30:
+        return None
+    if data[1] < 0x80:
+        return 2 + data[1]
+    n = data[1] & 0x7F
+    return 2 + n + int.from_bytes(data[2 : 2 + n], "big") if 1 <= n <= 4 and len(data) >= 2 + n else None
+
+
+def ssh_length(data: bytes) -> int | None:
+    """Bytes of the private form of the SSH tools that ``data`` begins with: its magic, length-prefixed cipher, derivation and options, a
+    key count, as many public keys and the private part."""
     magic = b"openssh-key-v1\x00"
     if not data.startswith(magic):
-        return False
-    at = len(magic)
-    for _ in range(3):
-        size = int.from_bytes(data[at : at + 4], "big")
-        at += 4 + size
+        return None
+    at, left = len(magic), 3
+    while left:
+        at += 4 + int.from_bytes(data[at : at + 4], "big")
+        if at + 4 > len(data):
+            return None
+        left -= 1
+    keys, at = int.from_bytes(data[at : at + 4], "big"), at + 4
+    if not 1 <= keys <= 16:
+        return None
+    for _ in range(keys + 1):
         if at + 4 > len(data):
-            return False
-    return 1 <= int.from_bytes(data[at : at + 4], "big") <= 16
+            return None
+        at += 4 + int.from_bytes(data[at : at + 4], "big")
+    return at if at <= len(data) else None
+
+
+def key_in(data: bytes | None) -> tuple[str, int] | None:
+    """(kind, bytes) of the key that ``data`` begins with."""
+    if not data:
+        return None
+    n = der_length(data)
+    if n is not None and n <= len(data) and is_private_key(data[:n]):
+        return "private_key", n
+    n = ssh_length(data)
+    return ("ssh_key", n) if n is not None else None
 
 
 def is_signed_token(head: str, body: str) -> bool:
@@ -114,29 +154,64 @@ def is_signed_token(head: str, body: str) -> bool:
         return False
 
 
-def kind_of_key(data: bytes | None) -> str | None:
-    return None if not data else "private_key" if is_private_key(data) else "ssh_key" if is_ssh_key(data) else None
+def is_encrypted_armour(head: str, body: bytes | None) -> bool:
+    """Header lines that name a cipher and its start value, over whole blocks of that cipher."""
+    lines = dict(x.split(":", 1) for x in head.splitlines() if ":" in x)
+    cipher, _, start = lines.get("DEK-Info", "").strip().partition(",")
+    if lines.get("Proc-Type", "").strip() != "4,ENCRYPTED" or not re.fullmatch(r"(?:[0-9A-Fa-f]{2}){8,16}", start.strip()):
+        return False
+    return bool(body) and len(body) >= 32 and len(body) % (16 if "AES" in cipher.upper() else 8) == 0
 
 
 def deep_spans(text: str) -> list[tuple[int, int, str]]:
     found = []
     for m in ARMOUR.finditer(text):
-        # Older armour has header lines before the key; what is inside must still decode.
-        if kind := kind_of_key(unbase64(m[2])):
-            found.append((m.start(), m.end(), kind))
-    inside = lambda m: any(a <= m.start() and m.end() <= b for a, b, _ in found)
+        body = unbase64(m[3])
+        if (key := key_in(body)) or is_encrypted_armour(m[2], body):
+            found.append((m.start(), m.end(), key[0] if key else "private_key"))
+    inside = lambda a, b: any(x <= a and b <= y for x, y, _ in found)
     for m in TOKEN.finditer(text):
         if is_signed_token(m[1], m[2]):
             found.append((m.start(), m.end(), "signed_token"))
     for m in BASE64.finditer(text):
-        if not inside(m) and (kind := kind_of_key(unbase64(m[0]))):
-            found.append((m.start(), m.end(), kind))
-    for m in LONG_HEX.finditer(text):
-        if not inside(m) and (kind := kind_of_key(bytes.fromhex(m[0][: len(m[0]) // 2 * 2]))):
-            found.append((m.start(), m.end(), kind))
+        run = m[0]
+        at = [i for i, c in enumerate(run) if not c.isspace() and c != "="]
+        plain, done, k = "".join([run[i] for i in at]), 0, 0
+        for line in LINE.finditer(run):
+            a = line.start()
+            if a < done or inside(m.start() + a, m.end()):
+                continue
+            k = bisect.bisect_left(at, a, k)
+            n = der_length(unbase64(plain[k : k + 12]) or b"")
+            n = SSH_BYTES if n is None else n
+            if (key := key_in(decoded_from(plain[k : k + (n * 4 + 2) // 3]))) is None:
+                continue
+            done = at[k + (key[1] * 4 + 2) // 3 - 1] + 1
+            while done < len(run) and run[done] == "=":
+                done += 1
+            found.append((m.start() + a, m.start() + done, key[0]))
+    for m in ANY_HEX.finditer(text):
+        run = m[0]
+        done = 0
+        for start in HEX_START.finditer(run):
+            a = start.start()
+            if a < done or inside(m.start() + a, m.end()):
+                continue
+            n = der_length(bytes.fromhex(run[a : a + 12]))
+            if n is not None and 2 * n > len(run) - a:
+                continue  # longer than the run
+            upto = a + 2 * (n if n is not None else min(SSH_BYTES, (len(run) - a) // 2))
+            if key := key_in(bytes.fromhex(run[a:upto])):
+                done = a + 2 * key[1]
+                found.append((m.start() + a, m.start() + done, key[0]))
     return found
 
 
+def decoded_from(text: str) -> bytes | None:
+    """The bytes of a run of base64 characters; one that is left over at its end tells nothing."""
+    return unbase64(text[:-1] if len(text) % 4 == 1 else text)
+
+
 def spans_of(text: str, may: tuple[bool, bool, bool, bool] = (True, True, True, True)) -> list[tuple[int, int, str]]:
     """(start, end, kind) by start, then kind; code points, end exclusive."""
     found = []
@@ -178,7 +253,8 @@ def scanned(docs: DataFrame, keep: list, whole: bool = False) -> DataFrame:
 
 
 def report(docs: DataFrame) -> DataFrame:
-    """One row a document: doc_id, n_assign, n_access, n_hex, base_sha256, spans. Rows are judged each on its own."""
+    """One row a document: doc_id, n_assign, n_access, n_hex, base_sha256, spans. Rows are judged each on its own, so ties and repeats
+    do not matter; null and empty texts have no spans and the digest of nothing; an empty table gives an empty result."""
     rows = scanned(docs, [F.col("doc_id").alias("doc_id")])
     line = lambda x: F.concat_ws(":", x["kind"], x["start"].cast("string"), x["end"].cast("string"))
     text = lambda xs: F.concat_ws(",", F.transform(xs, line))
@@ -220,6 +296,7 @@ def clean_documents(docs: DataFrame) -> DataFrame:
 
 
 def op9(spark, sf_dir: str) -> DataFrame:
+    """Secrets of all ``documents``; odd rows as in ``report``."""
     return report(table(spark, sf_dir, "documents"))
 
 
