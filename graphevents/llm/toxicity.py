@@ -1,9 +1,12 @@
 """Toxicity by a weighted finite-state grammar over clauses.
 
-Transducers are composed along each clause. The first maps a word to a symbol: insult (with a weight), threat, target, negation,
-reported speech or other. The next ones follow the symbols and keep, as their state, how far back the last negation, target and
-reporting word lie; at an insult or a threat they emit one of the matched patterns - aimed, plain, negated, reported, threat at
-a target - with the word's weight. A text's score is a logistic function of the weights its clauses emit, never of words alone.
+A clause's words become symbols (insult, threat, target, negation, report, other) with a weight. Transducers over symbols then
+mark the insults and threats that a negation, a target or a reporting word reaches: each is a small machine whose state says for how
+many more symbols its word reaches, and which adds a mark to the symbols it passes on. Their composition is one machine
+that reads the clause from left to right; a second composition, with reaches of its own, reads it from right to left ("a moron, said
+nobody"). A last one-state transducer turns a marked symbol into one of the patterns - aimed, plain, negated, reported, threat
+at a target. Weights multiply along arcs. A text's score is a logistic function of the weights its clauses emit, never of
+words alone.
 
 Insult stems and their weights come from labelled rows: prefixes whose share among toxic texts exceeds that among others by a
 likelihood-ratio test, the shortest prefix that tells as much. Pattern weights are fitted on stems learned from the other
@@ -12,6 +15,7 @@ half of the rows. Both are fitted on a bounded sample of labelled rows (``SAMPLE
 
 from __future__ import annotations
 
+import functools
 import math
 import re
 from collections import defaultdict
@@ -36,8 +40,11 @@ REPORTS = {"said", "says", "wrote", "called", "claimed", "quoted", "quote", "dit
 SEEDS = {"idiot": 3.0, "moron": 3.0, "stupid": 2.5, "scum": 3.0, "worthless": 2.5, "pathetic": 2.5, "disgusting": 2.0, "imbécile": 3.0, "salaud": 3.0, "dummkopf": 3.0, "arschloch": 3.0, "imbécil": 3.0, "estúpid": 2.5}
 PATTERNS = ("aimed", "plain", "negated", "reported", "threat", "words_with_weight", "weight_a_hit")
 TOKEN = re.compile(r"[^\W_]+(?:'[^\W_]+)?|[.!?;:,\n|\"]")
-#: Symbols back that a negation, a target or a reporting word reaches.
+#: How many symbols a negation, a target or a reporting word reaches, to its right and to its left.
 REACH = {"negation": 3, "target": 4, "report": 12}
+REACH_BACK = {"negation": 3, "target": 4, "report": 3}
+SYMBOLS = ("insult", "threat", "target", "negation", "report", "other")
+MARKED = ("insult", "threat")
 END = set(".!?;:\n|")
 
 
@@ -52,28 +59,81 @@ def symbol(word: str, stems: dict[str, float]) -> tuple[str, float]:
     return ("negation" if word in NEGATIONS else "target" if word in TARGETS else "report" if word in REPORTS else "other"), 0.0
 
 
-def clause_patterns(clause: list[str], stems: dict[str, float]) -> Iterator[tuple[str, float]]:
-    """The composed transducers over one clause: (pattern, weight) of each insult and aimed threat."""
-    read = [symbol(w, stems) for w in clause]
-    state = dict.fromkeys(REACH, 1 << 30)
-    for i, (what, weight) in enumerate(read):
-        if what in state:
-            state[what] = 0
-            continue
-        state = {k: v + 1 for k, v in state.items()}
-        if what not in ("insult", "threat"):
-            continue
-        ahead = any(s == "target" for s, _ in read[i + 1 : i + 1 + REACH["target"]])
-        aimed = state["target"] <= REACH["target"] or ahead
-        if what == "threat":
-            if aimed and state["negation"] > REACH["negation"]:
-                yield "threat", weight
-        elif state["report"] <= REACH["report"]:
-            yield "reported", weight
-        elif state["negation"] <= REACH["negation"]:
-            yield "negated", weight
-        else:
-            yield ("aimed" if aimed else "plain"), weight
+class Transducer:
+    """A deterministic weighted transducer: ``arcs[state, read] = (next state, written, weight)``; it starts in ``start``, and every state
+    is final. It writes one symbol for each one read."""
+
+    def __init__(self, start, arcs: dict) -> None:
+        self.start, self.arcs = start, arcs
+
+    def run(self, symbols: list) -> list[tuple]:
+        """(written, weight) of each of (symbol, weight)."""
+        state, out = self.start, []
+        for symbol, weight in symbols:
+            state, written, factor = self.arcs[state, symbol]
+            out.append((written, weight * factor))
+        return out
+
+
+def composed(first: Transducer, second: Transducer) -> Transducer:
+    """The transducer that does at once what ``second`` makes of what ``first`` writes; only states that can be reached."""
+    start = (first.start, second.start)
+    reads: dict = {}
+    for state, read in first.arcs:
+        reads.setdefault(state, []).append(read)
+    arcs, todo, seen = {}, [start], {start}
+    while todo:
+        a, b = state = todo.pop()
+        for read in reads[a]:
+            to_a, middle, one = first.arcs[a, read]
+            to_b, written, two = second.arcs[b, middle]
+            arcs[state, read] = ((to_a, to_b), written, one * two)
+            if (to_a, to_b) not in seen:
+                seen.add((to_a, to_b))
+                todo.append((to_a, to_b))
+    return Transducer(start, arcs)
+
+
+def reaching(word: str, reach: int, alphabet: list[tuple]) -> Transducer:
+    """Marks insults and threats at most ``reach`` symbols after ``word`` with it. The state counts how far it still reaches."""
+    arcs = {}
+    for left in range(reach + 1):
+        for base, marks in alphabet:
+            hit = base in MARKED and left > 0
+            arcs[left, (base, marks)] = (reach if base == word else max(0, left - 1), (base, marks | {word}) if hit else (base, marks), 1.0)
+    return Transducer(0, arcs)
+
+
+def alphabet_of(words: tuple[str, ...]) -> list[tuple]:
+    """Symbols with any of the marks that ``words`` may have left on them."""
+    sets = [frozenset(w for i, w in enumerate(words) if k >> i & 1) for k in range(1 << len(words))]
+    return [(s, m) for s in SYMBOLS for m in (sets if s in MARKED else sets[:1])]
+
+
+def pattern_of(base: str, marks: frozenset) -> str | None:
+    if base == "threat":
+        return "threat" if "target" in marks and not marks & {"negation", "report"} else None
+    if base != "insult":
+        return None
+    return "reported" if "report" in marks else "negated" if "negation" in marks else "aimed" if "target" in marks else "plain"
+
+
+@functools.lru_cache(maxsize=1)
+def grammar() -> tuple[Transducer, Transducer]:
+    """The machine that reads a clause from its left and the one that reads what that wrote from its right and writes patterns."""
+    words = ("negation", "target", "report")
+    alphabet = alphabet_of(words)
+    forth = functools.reduce(composed, [reaching(w, REACH[w], alphabet) for w in words])
+    back = functools.reduce(composed, [reaching(w, REACH_BACK[w], alphabet) for w in words])
+    patterns = Transducer(0, {(0, x): (0, pattern_of(*x), 1.0) for x in alphabet})
+    return forth, composed(back, patterns)
+
+
+def clause_patterns(clause: list[str], stems: dict[str, float]) -> list[tuple[str, float]]:
+    """(pattern, weight) of each insult and aimed threat of one clause."""
+    forth, back = grammar()
+    read = [((what, frozenset()), weight) for what, weight in (symbol(w, stems) for w in clause)]
+    return [(pattern, weight) for pattern, weight in reversed(back.run(forth.run(read)[::-1])) if pattern]
 
 
 def emitted(text: str, stems: dict[str, float], heads: set[str]) -> np.ndarray:
@@ -200,5 +260,6 @@ def scored(docs: DataFrame, model: tuple[dict[str, float], np.ndarray]) -> DataF
 
 
 def op3(spark, sf_dir: str) -> DataFrame:
+    """Scores of all ``documents``, learned from ``labels`` of rows that are not held out; odd rows as in ``scored``."""
     docs = table(spark, sf_dir, "documents")
     return scored(docs, fitted(sample(docs, table(spark, sf_dir, "labels"))))
