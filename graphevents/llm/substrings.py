@@ -30,6 +30,8 @@ from .common import bucketed, free_shuffles, mixed, slices, stored, table, word_
 WIDTH = 35
 #: Rounds: a symbol spans at most 2^4 words and is decided by at most as many on either side, so 35 words hold one.
 ROUNDS = 4
+#: A name with fewer rows than this is never treated as a hot one.
+HOT_ROWS = 10_000
 
 
 def recompressed(names: np.ndarray, doc: np.ndarray, rounds: int) -> tuple[np.ndarray, ...]:
@@ -208,12 +210,21 @@ def kept_words(raw: bytes, start: np.ndarray, length: np.ndarray, width: int = W
 
 
 def again(rows: DataFrame, names: list[str], most: int = 1) -> DataFrame:
-    """The rows whose ``names`` are found more than ``most`` times: counts are combined before the shuffle, then joined back."""
-    seen = rows.groupBy(*names).agg(F.count("*").alias("n")).filter(F.col("n") > most).select(*[F.col(c).alias(f"k{i}") for i, c in enumerate(names)])
+    """The rows (stored) whose ``names`` are found more than ``most`` times: counts are combined before the shuffle, then joined back.
+
+    Names of more than a thousandth of all rows, of which there are fewer than a thousand, are joined by broadcast, so that none of them is one
+    task's work.
+    """
+    counted = stored(rows.groupBy(*names).agg(F.count("*").alias("n")).filter(F.col("n") > most).select(*[F.col(c).alias(f"k{i}") for i, c in enumerate(names)], "n"))
     same = F.lit(True)
     for i, c in enumerate(names):
         same = same & (F.col(c) == F.col(f"k{i}"))
-    return rows.join(seen, same, "left_semi")
+    often = max(HOT_ROWS, rows.count() // 1000)
+    hot = counted.filter(F.col("n") > often).drop("n")
+    if hot.isEmpty():
+        return rows.join(counted.drop("n"), same, "left_semi")
+    cold = counted.filter(F.col("n") <= often).drop("n")
+    return rows.join(F.broadcast(hot), same, "left_semi").union(rows.join(F.broadcast(hot), same, "left_anti").join(cold, same, "left_semi"))
 
 
 def repeats(texts: DataFrame, width: int = WIDTH) -> DataFrame:
