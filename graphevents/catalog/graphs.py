@@ -297,31 +297,41 @@ def _(spark, sf):
     return spark.createDataFrame([("exact", tree.exact_steiner(edges, ends)), ("bfs", bfs_cost), ("voronoi", voronoi), ("closure", int(closure))], "mode string, cost long")
 
 
-# Sentence graphs.
-@query("sg_token_nodes", with_notes(*TO_TREES) + "SELECT DISTINCT a.sent_id, 't:' || tok AS src, 11 AS rel, concept_id AS dst FROM al a JOIN st ON st.sent_id = a.sent_id AND st.node = a.concept_id")
+# Sentence graphs. What is compared of very many edges is a row a sentence: their number and a sum over their digests.
+def by_sentence(df, *columns: str):
+    text = F.concat_ws("|", *[F.col(c).cast("string") for c in columns])
+    return df.groupBy("sent_id").agg(F.count("*").alias("edges"), F.sum(F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("long")).alias("digest"))
+
+
+def sql_by_sentence(rows: str, *columns: str) -> str:
+    text = " || '|' || ".join(f"CAST({c} AS VARCHAR)" for c in columns)
+    return f"SELECT sent_id, count(*) AS edges, CAST(sum(CAST('0x' || substr(md5({text}), 1, 8) AS BIGINT)) AS BIGINT) AS digest FROM ({rows}) GROUP BY sent_id"
+
+
+@query("sg_token_nodes", with_notes(*TO_TREES) + sql_by_sentence("SELECT DISTINCT a.sent_id, 't:' || tok AS src, 11 AS rel, concept_id AS dst FROM al a JOIN st ON st.sent_id = a.sent_id AND st.node = a.concept_id", "src", "rel", "dst"))
 def _(spark, sf):
     w = Work(spark, sf)
-    return sentgraph.token_edges(w.aligned, w.trees)
+    return by_sentence(sentgraph.token_edges(w.aligned, w.trees), "src", "rel", "dst")
 
 
-@query("sg_type_nodes", with_notes(*TO_TREES, TYPES) + "SELECT DISTINCT st.sent_id, node AS src, 12 AS rel, sty AS dst FROM st JOIN ct ON concept_id = node")
+@query("sg_type_nodes", with_notes(*TO_TREES, TYPES) + sql_by_sentence("SELECT DISTINCT st.sent_id, node AS src, 12 AS rel, sty AS dst FROM st JOIN ct ON concept_id = node", "src", "rel", "dst"))
 def _(spark, sf):
     w = Work(spark, sf)
-    return sentgraph.type_edges(w.trees, w.types)
+    return by_sentence(sentgraph.type_edges(w.trees, w.types), "src", "rel", "dst")
 
 
-@query("sg_type_edges", with_notes(*TO_TREES, TYPES, NET, "ty AS MATERIALIZED (SELECT DISTINCT sent_id, sty FROM st JOIN ct ON concept_id = node)") + "SELECT a.sent_id, sty_src AS src, srel AS rel, sty_dst AS dst FROM ty a JOIN net ON sty_src = a.sty JOIN ty b ON b.sent_id = a.sent_id AND b.sty = sty_dst")
+@query("sg_type_edges", with_notes(*TO_TREES, TYPES, NET, "ty AS MATERIALIZED (SELECT DISTINCT sent_id, sty FROM st JOIN ct ON concept_id = node)") + sql_by_sentence("SELECT a.sent_id, sty_src AS src, srel AS rel, sty_dst AS dst FROM ty a JOIN net ON sty_src = a.sty JOIN ty b ON b.sent_id = a.sent_id AND b.sty = sty_dst", "src", "rel", "dst"))
 def _(spark, sf):
     w = Work(spark, sf)
-    return sentgraph.type_type_edges(sentgraph.type_edges(w.trees, w.types), w.net)
+    return by_sentence(sentgraph.type_type_edges(sentgraph.type_edges(w.trees, w.types), w.net), "src", "rel", "dst")
 
 
 for _name, _types, _induce in (("sg_edges_merged", True, "tree"), ("sg_induced_full", True, "full"), ("sg_without_types", False, "tree")):
 
     def _edges(spark, sf, types=_types, induce=_induce):
-        return Work(spark, sf).sentence_edges(types, induce).select("sent_id", "i", "j", F.array_join(F.col("rels").cast("array<string>"), ",").alias("rels"))
+        return by_sentence(Work(spark, sf).sentence_edges(types, induce).select("sent_id", "i", "j", F.array_join(F.col("rels").cast("array<string>"), ",").alias("rels")), "i", "j", "rels")
 
-    QUERIES[_name] = (_edges, with_notes(*TO_TREES, *([TYPES, NET] if _types else []), sentence_edges(_types, _induce)) + "SELECT sent_id, i, j, array_to_string(rels, ',') AS rels FROM se")
+    QUERIES[_name] = (_edges, with_notes(*TO_TREES, *([TYPES, NET] if _types else []), sentence_edges(_types, _induce)) + sql_by_sentence("SELECT sent_id, i, j, array_to_string(rels, ',') AS rels FROM se", "i", "j", "rels"))
 
 
 @query("sg_sizes", with_notes(*TO_TREES, TYPES, NET, sentence_edges()) + "SELECT n.*, edges FROM (SELECT sent_id, count(*) FILTER (starts_with(i, 't:')) AS tokens, count(*) FILTER (regexp_matches(i, '^[A-Z]:')) AS concepts, count(*) FILTER (NOT starts_with(i, 't:') AND NOT regexp_matches(i, '^[A-Z]:')) AS types FROM (SELECT DISTINCT sent_id, i FROM se) GROUP BY sent_id) n JOIN (SELECT sent_id, count(*) AS edges FROM se GROUP BY sent_id) e USING (sent_id)")

@@ -7,8 +7,6 @@ hundred rows that are broadcast - and joined to the edges. One shuffle by receiv
 
 from __future__ import annotations
 
-import json
-
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -38,11 +36,21 @@ def weighted_sum(nodes: DataFrame, weights: DataFrame) -> DataFrame:
     return weights.join(sender, ["g", "j"]).groupBy("g", F.col("i").alias("n"), "dim").agg(F.sum(F.col("a") * F.col("x")).alias("m"))
 
 
-def linear(nodes: DataFrame, matrix: list[list[float]]) -> DataFrame:
-    """``x`` times a fixed matrix, with ReLU left to the caller. The matrix is a map from (from, to), broadcast as a literal."""
-    rows = [(i, j, float(v)) for i, r in enumerate(matrix) for j, v in enumerate(r) if v]
+def mlp_logits(edges: DataFrame, vectors: dict[int, list[float]], first: list[list[float]], second: list[list[float]]) -> DataFrame:
+    """``key, logit`` per distinct relation set: an MLP of the sum of its relations' vectors, evaluated once a set."""
+    flat = [(r, d, float(v)) for r, vec in vectors.items() for d, v in enumerate(vec)]
+    table = F.broadcast(edges.sparkSession.createDataFrame(flat, "rel int, dim int, w double"))
+    sets = edges.select("rels").distinct().select(relset_key(F.col("rels")).alias("n"), F.explode("rels").alias("rel"))
+    summed = sets.join(table, "rel").groupBy("n", "dim").agg(F.sum("w").alias("x")).withColumn("g", F.lit(0))
+    return mlp(summed, first, second).select(F.col("n").alias("key"), F.col("x").alias("logit"))
+
+
+def linear(nodes: DataFrame, matrix: list[list[float]], bias: list[float] | None = None) -> DataFrame:
+    """``x`` times a fixed matrix, plus a bias, with ReLU left to the caller. The matrix is broadcast as a small table."""
+    rows = [(i, j, float(v)) for i, r in enumerate(matrix) for j, v in enumerate(r)]
     m = nodes.sparkSession.createDataFrame(rows, "dim int, to int, w double")
-    return nodes.join(F.broadcast(m), "dim").groupBy("g", "n", F.col("to").alias("dim")).agg(F.sum(F.col("x") * F.col("w")).alias("x"))
+    out = nodes.join(F.broadcast(m), "dim").groupBy("g", "n", F.col("to").alias("dim")).agg(F.sum(F.col("x") * F.col("w")).alias("x"))
+    return out if bias is None else out.withColumn("x", F.col("x") + F.element_at(F.array(*[F.lit(float(b)) for b in bias]), F.col("dim") + 1))
 
 
 def mlp(nodes: DataFrame, first: list[list[float]], second: list[list[float]]) -> DataFrame:
@@ -55,10 +63,12 @@ def add(own: DataFrame, messages: DataFrame) -> DataFrame:
     return own.join(messages, ["g", "n", "dim"], "left").select("g", "n", "dim", (F.col("x") + F.coalesce("m", F.lit(0.0))).alias("x"))
 
 
-def edge_softmax_attention(nodes: DataFrame, edges: DataFrame, rel_scores: dict[int, float], theta: tuple | None = None) -> DataFrame:
-    """One layer: a node's own state through an MLP (identity without one) plus the softmax-weighted states of its senders."""
+def edge_softmax_attention(nodes: DataFrame, edges: DataFrame, rel_scores: dict[int, float] | DataFrame, theta: tuple | None = None) -> DataFrame:
+    """One layer: a node's own state through an MLP (identity without one) plus the softmax-weighted states of its senders.
+    ``rel_scores``: a score a relation, or the logits of relation sets."""
     own = mlp(nodes, *theta) if theta else nodes
-    return add(own, weighted_sum(nodes, attention_weights(edges, edge_logits(edges, rel_scores))))
+    logits = rel_scores if isinstance(rel_scores, DataFrame) else edge_logits(edges, rel_scores)
+    return add(own, weighted_sum(nodes, attention_weights(edges, logits)))
 
 
 def edge_conditioned_conv(nodes: DataFrame, edges: DataFrame, gates: dict[int, list[float]], gate: str = "scalar", theta: tuple | None = None) -> DataFrame:
@@ -114,7 +124,3 @@ def identity(nodes: DataFrame) -> DataFrame:
 def fuse(tokens: DataFrame, states: DataFrame) -> DataFrame:
     """Text vectors ``g, n, dim, h`` plus the states of their token nodes; a token without a node is unchanged."""
     return tokens.join(states, ["g", "n", "dim"], "left").select("g", "n", "dim", (F.col("h") + F.coalesce("x", F.lit(0.0))).alias("h"))
-
-
-def parameters(value: str | dict) -> dict:
-    return json.loads(value) if isinstance(value, str) else dict(value)

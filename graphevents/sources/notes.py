@@ -52,12 +52,14 @@ PLACES = {
 COLUMNS = ("l_orderkey", "l_partkey", "l_suppkey", "o_custkey")
 
 
-def lines(spark: SparkSession, sf_dir: str, stride: int = 20) -> DataFrame:
+def lines(spark: SparkSession, sf_dir: str, stride: int = 1) -> DataFrame:
     """One row a sentence with all that the rules need. Fact tables meet on the order key; the rank window uses the same key, so
     the join's shuffle serves it, too."""
     t = lambda n: load(spark, sf_dir, n)
-    orders = t("orders").select("o_orderkey", "o_custkey").filter(F.col("o_orderkey") % stride == 0)
-    item = t("lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice", "l_shipdate", "l_returnflag").filter(F.col("l_orderkey") % stride == 0)
+    orders = t("orders").select("o_orderkey", "o_custkey")
+    item = t("lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice", "l_shipdate", "l_returnflag")
+    if stride > 1:
+        orders, item = orders.filter(F.col("o_orderkey") % stride == 0), item.filter(F.col("l_orderkey") % stride == 0)
     rows = item.join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
     rows = rows.join(t("part").select("p_partkey", "p_name"), F.col("l_partkey") == F.col("p_partkey"))
     rows = rows.join(t("customer").select("c_custkey", "c_name", "c_mktsegment"), F.col("o_custkey") == F.col("c_custkey"))
@@ -122,14 +124,15 @@ def terminals(rows: DataFrame) -> DataFrame:
     return rows.select(F.explode(ids).alias("node")).distinct()
 
 
-def sql_cte(stride: int = 20) -> str:
+def sql_cte(stride: int = 1) -> str:
     """The same rendering as DuckDB common table expressions: ``note_lines``, ``note_sentences``, ``note_triggers``, ``note_entities``,
     ``note_arguments``."""
+    where = f" WHERE l_orderkey % {stride} = 0" if stride > 1 else ""
     level = (
         f"note_0 AS (SELECT l_orderkey, l_partkey, l_suppkey, l_returnflag, o_custkey, p_name, c_name, c_mktsegment, s_name, s_nationkey,"
         f" CAST(row_number() OVER w AS INT) AS rn, lead(p_name) OVER w AS next_name, lead(l_partkey) OVER w AS next_part"
         f" FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey JOIN customer ON o_custkey = c_custkey"
-        f" JOIN supplier ON l_suppkey = s_suppkey WHERE l_orderkey % {stride} = 0"
+        f" JOIN supplier ON l_suppkey = s_suppkey{where}"
         f" WINDOW w AS (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_extendedprice, l_shipdate))"
     )
     parts, last = [level], "note_0"
@@ -137,9 +140,9 @@ def sql_cte(stride: int = 20) -> str:
         cols = ", ".join(f"{v} AS {k}" for k, v in step.items())
         parts.append(f"note_{i} AS (SELECT *, {cols} FROM {last})")
         last = f"note_{i}"
-    parts.append(f"note_lines AS (SELECT *, l_orderkey * 100 + rn AS sent_id FROM {last})")
-    parts.append("note_sentences AS (SELECT sent_id, l_orderkey AS doc_id, split, text FROM note_lines)")
+    parts.append(f"note_lines AS MATERIALIZED (SELECT *, l_orderkey * 100 + rn AS sent_id FROM {last})")
+    parts.append("note_sentences AS MATERIALIZED (SELECT sent_id, l_orderkey AS doc_id, split, text FROM note_lines)")
     for name, pieces in (("triggers", TRIGGER_PARTS), ("entities", ENTITY_PARTS), ("arguments", ARGUMENT_PARTS)):
         union = " UNION ALL ".join("SELECT sent_id, split, " + ", ".join(f"{e} AS {c.rstrip('_')}" for c, e in cols.items()) + f" FROM note_lines WHERE {cond}" for cond, cols in pieces)
-        parts.append(f"note_{name} AS ({union})")
+        parts.append(f"note_{name} AS MATERIALIZED ({union})")
     return ", ".join(parts)
