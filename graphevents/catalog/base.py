@@ -13,6 +13,11 @@ THRESHOLD, LEVELS, DIM = 10, 7, 4
 _KEPT: dict[tuple, DataFrame] = {}
 
 
+def forget() -> None:
+    """Drop what is kept, so that the next query derives it anew."""
+    _KEPT.clear()
+
+
 class Work:
     """Derived tables of one folder, made when first asked for."""
 

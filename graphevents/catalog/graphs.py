@@ -71,9 +71,9 @@ def _(spark, sf):
     return kg.lexical_edges(text.words_of_documents(load(spark, sf, "documents")))
 
 
-@query("kg_hash_vectors", f"WITH {EDGES} SELECT node AS key, d AS dim, CAST(('0x' || md5(node)[d + 1]) AS INT) % 7 - 3 AS value FROM (SELECT src AS node FROM ce WHERE rel <= 6 UNION SELECT dst FROM ce WHERE rel <= 6), (SELECT CAST(unnest(range(4)) AS INT) AS d)")
+@query("kg_hash_vectors", f"WITH {EDGES} SELECT node AS key, d AS dim, CAST(('0x' || md5(node)[d + 1]) AS INT) % 7 - 3 AS value FROM (SELECT src AS node FROM ce UNION SELECT dst FROM ce), (SELECT CAST(unnest(range(4)) AS INT) AS d)")
 def _(spark, sf):
-    nodes = kg.nodes_of(kg.concept_edges(spark, sf).filter("rel <= 6"))
+    nodes = kg.nodes_of(kg.concept_edges(spark, sf))
     return kg.hash_vectors(nodes.select(F.col("node").alias("key")), 4)
 
 
@@ -277,8 +277,10 @@ def _(spark, sf):
 
 @query("tree_closure_tree")
 def _(spark, sf):
+    """All nations and regions, over the whole network: the exact distances of a small set of terminals."""
     w = Work(spark, sf)
-    return tree.closure_tree(w.pruned(), w.terminals.orderBy("node").limit(6))
+    ends = kg.nodes_of(w.edges).filter("node like 'N:%' or node like 'R:%'")
+    return tree.closure_tree(w.edges, ends)
 
 
 @query("tree_exact_steiner")

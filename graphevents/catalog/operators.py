@@ -55,9 +55,9 @@ def _(spark, t):
     return t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey")
 
 
-@put("op_join_full_outer", "SELECT coalesce(d.doc_id, l.doc_id) AS doc_id, d.lang, l.toxic FROM (SELECT doc_id, lang FROM documents WHERE doc_id % 3 = 0) d FULL JOIN (SELECT doc_id, toxic FROM labels) l ON d.doc_id = l.doc_id")
+@put("op_join_full_outer", "SELECT coalesce(d.doc_id, l.doc_id) AS doc_id, d.lang, l.toxic FROM (SELECT doc_id, lang FROM documents) d FULL JOIN (SELECT doc_id, toxic FROM labels) l ON d.doc_id = l.doc_id")
 def _(spark, t):
-    d = t("documents").select("doc_id", "lang").filter("doc_id % 3 = 0")
+    d = t("documents").select("doc_id", "lang")
     return d.join(t("labels").select("doc_id", "toxic"), "doc_id", "full_outer").select("doc_id", "lang", "toxic")
 
 
@@ -81,9 +81,9 @@ def _(spark, t):
     return joins.range_join(p, s, "k", "p_partkey", "lo", "hi", 25).groupBy("p_partkey").agg(F.count("*").alias("n"))
 
 
-@put("op_join_lateral", "SELECT c_custkey, o_orderkey FROM (SELECT c_custkey FROM customer WHERE c_custkey % 50 = 0) c, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c.c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)")
+@put("op_join_lateral", "SELECT c_custkey, o_orderkey FROM (SELECT c_custkey FROM customer) c, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c.c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)")
 def _(spark, t):
-    c = t("customer").select("c_custkey").filter("c_custkey % 50 = 0")
+    c = t("customer").select("c_custkey")
     o = t("orders").filter(F.col("o_custkey") == F.col("c_custkey").outer()).orderBy(F.desc("o_totalprice"), "o_orderkey").limit(2).select("o_orderkey")
     return c.lateralJoin(o).select("c_custkey", "o_orderkey")
 
@@ -142,10 +142,10 @@ def _(spark, t):
     return li.agg(F.approx_count_distinct("l_partkey", 0.02).alias("approx"), F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey", F.lit(12))).alias("hll"), F.percentile_approx("l_quantity", 0.5, F.lit(1000)).alias("median"))
 
 
-@put("op_window_ranks", "SELECT o_orderkey, rank() OVER w AS r, dense_rank() OVER w AS d, ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey) AS q FROM orders WHERE o_custkey < 40 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderpriority)")
+@put("op_window_ranks", "SELECT o_orderkey, rank() OVER w AS r, dense_rank() OVER w AS d, ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey) AS q FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderpriority)")
 def _(spark, t):
     w, v = Window.partitionBy("o_custkey").orderBy("o_orderpriority"), Window.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
-    return t("orders").filter("o_custkey < 40").select("o_orderkey", F.rank().over(w).cast("long").alias("r"), F.dense_rank().over(w).cast("long").alias("d"), F.ntile(4).over(v).cast("long").alias("q"))
+    return t("orders").select("o_orderkey", F.rank().over(w).cast("long").alias("r"), F.dense_rank().over(w).cast("long").alias("d"), F.ntile(4).over(v).cast("long").alias("q"))
 
 
 @put("op_window_frames", "SELECT event_id, sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW)::BIGINT AS s3, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS last_hour FROM events")

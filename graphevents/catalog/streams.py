@@ -97,6 +97,6 @@ def _(spark, sf):
     place = f"{spark.sparkContext.getCheckpointDir()}/pieces-{abs(hash(sf))}"
     t = notes.triggers(w.lines).filter("trig_id % 10 = 1").select("trig_id", F.lit("trigger").alias("what"), F.col("etype").alias("value"))
     a = notes.arguments(w.lines).filter("role = 'Theme' and kind = 'entity' and trig_id % 10 = 1").groupBy("trig_id").agg(F.min("ref").cast("string").alias("value")).select("trig_id", F.lit("theme").alias("what"), "value")
-    t.union(a).repartition(4).write.mode("overwrite").parquet(place)
-    stream = spark.readStream.schema("trig_id long, what string, value string").option("maxFilesPerTrigger", 2).parquet(place)
+    t.union(a).withColumn("ts", F.timestamp_seconds(F.col("trig_id") % 600)).repartition(4).write.mode("overwrite").parquet(place)
+    stream = spark.readStream.schema("trig_id long, what string, value string, ts timestamp").option("maxFilesPerTrigger", 2).parquet(place)
     return streaming.drained(streaming.open_events(stream))

@@ -40,5 +40,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         if now == mark:
             break
         mark = now
+    else:
+        raise RuntimeError(f"components are not settled after {max_rounds} rounds: raise max_rounds")
     roots = both.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct()
     return both.select(F.col("a").alias("node"), F.col("b").alias("component")).union(roots)

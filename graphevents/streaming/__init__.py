@@ -89,10 +89,11 @@ def upsert(path: str) -> Callable[[DataFrame, int], None]:
     return write
 
 
-def open_events(pieces: DataFrame, timeout_ms: int = 3_600_000) -> DataFrame:
-    """Holds an event until its trigger and theme have both arrived: ``trig_id, what (trigger or theme), value`` -> trig_id, etype, theme.
+def open_events(pieces: DataFrame, timeout_ms: int = 3_600_000, delay: str = "1 hour") -> DataFrame:
+    """Holds an event until its trigger and theme have both arrived: ``trig_id, what (trigger or theme), value, ts`` -> trig_id, etype, theme.
 
-    State is one pair of strings an open event; it is dropped when it times out.
+    State is one pair of strings an open event; it is dropped once the watermark is ``timeout_ms`` beyond the piece that came last. Time is
+    that of the rows, so a replay gives the same result and ends.
     """
     import pandas as pd
     from pyspark.sql.streaming.state import GroupStateTimeout
@@ -102,7 +103,9 @@ def open_events(pieces: DataFrame, timeout_ms: int = 3_600_000) -> DataFrame:
         if state.hasTimedOut:
             state.remove()
             return
+        latest = 0
         for f in frames:
+            latest = max(latest, int(f["ts"].max().timestamp() * 1000))
             for what, value in zip(f["what"], f["value"], strict=True):
                 etype, theme = (value, theme) if what == "trigger" else (etype, value)
         if etype and theme:
@@ -111,6 +114,6 @@ def open_events(pieces: DataFrame, timeout_ms: int = 3_600_000) -> DataFrame:
             yield pd.DataFrame({"trig_id": [key[0]], "etype": [etype], "theme": [theme]})
         else:
             state.update((etype, theme))
-            state.setTimeoutDuration(timeout_ms)
+            state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs(), latest) + timeout_ms)
 
-    return pieces.groupBy("trig_id").applyInPandasWithState(step, "trig_id long, etype string, theme string", "etype string, theme string", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return pieces.withWatermark("ts", delay).groupBy("trig_id").applyInPandasWithState(step, "trig_id long, etype string, theme string", "etype string, theme string", "append", GroupStateTimeout.EventTimeTimeout)

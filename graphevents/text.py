@@ -41,7 +41,7 @@ def fit_pieces(tokens: DataFrame, size: int = 2000, longest: int = 6) -> list[st
     parts = words.select("form", "n", starts.alias("a")).select("n", F.explode(F.transform(F.sequence(F.lit(1), F.lit(longest)), lambda k: F.substr("form", F.col("a"), k))).alias("piece"))
     counted = parts.groupBy("piece").agg(F.sum("n").alias("n"))
     top = counted.orderBy(F.desc("n"), "piece").limit(size)
-    single = counted.filter(F.length("piece") == 1).select("piece").limit(5000)
+    single = counted.filter(F.length("piece") == 1).select("piece")
     return sorted({r["piece"] for r in top.select("piece").union(single).collect()})
 
 
@@ -75,7 +75,3 @@ def pool_pieces(piece_vectors: DataFrame, how: str = "first") -> DataFrame:
 def words_of_documents(docs: DataFrame) -> DataFrame:
     """``doc_id, pos, word``: lower-case letter runs in order."""
     return docs.select("doc_id", F.posexplode(F.regexp_extract_all(F.lower("text"), F.lit(r"(\p{L}+)"), F.lit(1))).alias("pos", "word"))
-
-
-def running_rank(df: DataFrame, key: str, order: str) -> DataFrame:
-    return df.withColumn("rank", F.row_number().over(Window.partitionBy(key).orderBy(order)))

@@ -68,6 +68,8 @@ def bfs_forest(edges: DataFrame, roots: DataFrame, max_rounds: int = 100, switch
         levels.append(level)
         visited = checkpointed(visited.union(level.select("node")))
         total += size
+    else:
+        raise RuntimeError(f"not settled after {max_rounds} rounds: raise max_rounds")
     return reduce(DataFrame.union, levels)
 
 
@@ -168,6 +170,8 @@ def voronoi_cells(edges: DataFrame, terminals: DataFrame, max_rounds: int = 100)
             break
         levels.append(level)
         visited = checkpointed(visited.union(level.select("node")))
+    else:
+        raise RuntimeError(f"not settled after {max_rounds} rounds: raise max_rounds")
     return reduce(DataFrame.union, levels)
 
 
@@ -194,6 +198,8 @@ def spanning_forest(links: DataFrame, max_rounds: int = 40) -> DataFrame:
         chosen = new if chosen is None else checkpointed(chosen.union(new).distinct())
         parts = components(chosen.select(F.col("a").alias("src"), F.col("b").alias("dst")))
         label = checkpointed(label.select("node").join(parts, "node", "left").select("node", F.coalesce("component", "node").alias("component")))
+    else:
+        raise RuntimeError(f"not settled after {max_rounds} rounds: raise max_rounds")
     return links.select("length", "a", "b", "u", "v").limit(0) if chosen is None else chosen
 
 
@@ -235,6 +241,8 @@ def closure_tree(edges: DataFrame, terminals: DataFrame, max_rounds: int = 60) -
             break
         seen = checkpointed(seen.union(level))
         levels.append(level.withColumn("d", F.lit(d)))
+    else:
+        raise RuntimeError(f"not settled after {max_rounds} rounds: raise max_rounds")
     reach = reduce(DataFrame.union, levels)
     pairs = reach.join(terminals, "node").filter("s < node").select(F.col("s").alias("a"), F.col("node").alias("b"), F.col("d").alias("length"), F.col("s").alias("u"), F.col("node").alias("v"))
     return spanning_forest(pairs).select("a", "b", "length")
