@@ -180,15 +180,14 @@ def full_attention(spark, sf):
 
 
 def full_fused(spark, sf):
-    """Text vectors projected into the graph, two full layers, and back by a projection and the residual."""
+    """Text vectors projected into the graph, a full layer, and back by a projection and the residual."""
     w = Work(spark, sf)
     x, e = nodes_and_edges(w)
     tokens = token_vectors(w)
     known = R.linear(tokens.withColumnRenamed("h", "x").join(x.select("g", "n").distinct(), ["g", "n"], "left_semi"), INTO, INTO_BIAS)
     x = known.unionByName(x.join(tokens.select("g", "n").distinct(), ["g", "n"], "left_anti"))
     logits = full_logits(e)
-    for _ in range(2):
-        x = R.edge_softmax_attention(x, e, logits, (THETA_1, THETA_2))
+    x = R.edge_softmax_attention(x, e, logits, (THETA_1, THETA_2))
     back = R.linear(x.filter(F.col("n").startswith("t:")), OUT, OUT_BIAS)
     return rounded(R.fuse(tokens, back).withColumnRenamed("h", "x"))
 
@@ -233,8 +232,8 @@ QUERIES["gnn_fused_full"] = (
         "hk AS MATERIALIZED (SELECT g, n, dim, h::DOUBLE AS x FROM h0 SEMI JOIN x0 USING (g, n))",
         sql_linear("hk", "hp", "wi", bias=biased(INTO_BIAS)),
         "xs AS MATERIALIZED (SELECT g, n, dim, x FROM hp UNION ALL SELECT g, n, dim, x FROM x0 WHERE NOT starts_with(n, 't:'))",
-        *full_layer_sql("xs", "x1"), *full_layer_sql("x1", "x2"),
-        "xt AS (SELECT * FROM x2 WHERE starts_with(n, 't:'))", sql_linear("xt", "xo", "wo", bias=biased(OUT_BIAS)),
+        *full_layer_sql("xs", "x1"),
+        "xt AS MATERIALIZED (SELECT * FROM x1 WHERE starts_with(n, 't:'))", sql_linear("xt", "xo", "wo", bias=biased(OUT_BIAS)),
         "y AS (SELECT h0.g, h0.n, h0.dim, h + coalesce(x, 0) AS x FROM h0 LEFT JOIN xo USING (g, n, dim))",
     )
     + sql_rounded("y"),
