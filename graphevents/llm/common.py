@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 #: Java / Python pattern of one word.
 WORD = r"[^\x20\x09-\x0D]+"
 #: Bytes of text that one numpy kernel call works on; a longer document is a call of its own.
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 18
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -80,12 +80,6 @@ def bucketed(df: DataFrame, key: str) -> Iterator[DataFrame]:
         spark.sql(f"drop table if exists {name} purge")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint, for the small tables of iterative jobs."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
 def free_shuffles(spark: SparkSession) -> None:
     """Let the context cleaner drop shuffle files of finished jobs that nothing refers to."""
     gc.collect()
@@ -103,6 +97,8 @@ def slices(batches: Iterator[pa.RecordBatch], column: str, most: int = CHUNK_BYT
         cuts = np.flatnonzero(np.diff(part)) + 1
         for a, b in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):
             yield batch.slice(a, b - a)
+        del batch
+        pa.default_memory_pool().release_unused()  # a worker that waits holds nothing
 
 
 def texts_of(batch: pa.RecordBatch, column: str) -> pa.Array:

@@ -38,6 +38,8 @@ from .substrings import prefix_names, stretch_names
 
 K, SKETCHES, KEPT, THRESHOLD = 5, 64, 2, 0.8
 BINS = 256
+#: Texts with company that are broadcast at most: some 60 bytes each.
+FEW = 100_000
 #: Texts of one tile, when histograms and when whole texts are compared; rows and words that small groups are packed to.
 TILE, TEXT_TILE, PACK_ROWS, PACK_WORDS = 4096, 128, 8192, 200_000
 
@@ -68,7 +70,7 @@ def sketched(hashes: np.ndarray, offsets: np.ndarray, k: int = K, sketches: int
             continue
         names, labels = name[a:b], label[a:b]
         keys = []
-        step = max(1, (1 << 20) // (b - a))  # bounds the table of ranks for very long texts
+        step = max(1, (1 << 18) // (b - a))  # bounds the table of ranks for very long texts
         for s in range(0, sketches, step):
             rank = labels[None] * factors[s : s + step, None]
             rows, least = np.arange(len(rank)), []
@@ -414,6 +416,9 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     least = of_text.groupBy("doc").agg(F.min("id").alias("src"), F.max("id").alias("y")).filter("src < y").select("doc", "src")
     same = of_text.join(least, "doc").filter("src < id").select("src", F.col("id").alias("dst"))
     own = reps.select(F.col("doc").alias("d"), F.col("digest").alias("g"), "id", "n").join(company.select("id").distinct(), "id", "left_semi")
+    own = stored(own)
+    # Few texts with company travel to the rows; many meet them by a shuffle.
+    own = F.broadcast(own) if own.count() <= FEW else own
     with bucketed(with_bins(rows.join(own, (F.col("doc") == F.col("d")) & (F.col("digest") == F.col("g"))).dropDuplicates(["id"])), "id") as texts:
         found = linked(company, texts, same, threshold)
     of_doc = of_text.join(found, F.col("id") == F.col("node"), "left").groupBy("doc").agg(F.min(F.coalesce("component", "id")).alias("component"))
