@@ -232,7 +232,8 @@ def joined(spans) -> str:
 
 
 def scanned(docs: DataFrame, keep: list, whole: bool = False) -> DataFrame:
-    """``keep`` beside ``found``: an array of (start, end, kind) of every whole text. Null and empty texts have none."""
+    """``keep`` beside ``found``, an array of (start, end, kind) of every whole text, and ``hidden``, the text with its spans replaced
+    (null where there are none). Null and empty texts have none. One Python worker a task does both."""
     rows, place = with_text(docs, keep, whole)
     kind = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("kind", pa.string())]))
 
@@ -243,13 +244,17 @@ def scanned(docs: DataFrame, keep: list, whole: bool = False) -> DataFrame:
             some = pc.or_(pc.or_(may["assign"], may["access"]), pc.or_(may["hex"], may["deep"])).to_numpy(zero_copy_only=False)
             may = [may[k].to_numpy(zero_copy_only=False) for k in MAY]
             found: list = [[] for _ in range(b.num_rows)]
+            hidden: list = [None] * b.num_rows
             for i in some.nonzero()[0]:
-                got = spans_of(texts[int(i)].as_py(), tuple(m[i] for m in may))
+                text = texts[int(i)].as_py()
+                got = spans_of(text, tuple(m[i] for m in may))
                 found[i] = [{"start": a, "end": e, "kind": k} for a, e, k in got]
-            yield pa.RecordBatch.from_arrays([b.column("row"), pa.array(found, kind)], ["row", "found"])
+                if got and whole:
+                    hidden[i] = redacted(text, [(a, e) for a, e, _ in got])
+            yield pa.RecordBatch.from_arrays([b.column("row"), pa.array(found, kind), pa.array(hidden, pa.string())], ["row", "found", "hidden"])
 
-    schema = f"row {rows.schema['row'].dataType.simpleString()}, found array<struct<start: long, end: long, kind: string>>"
-    return rows.mapInArrow(run, schema).select("row.*", "found")
+    schema = f"row {rows.schema['row'].dataType.simpleString()}, found array<struct<start: long, end: long, kind: string>>, hidden string"
+    return rows.mapInArrow(run, schema).select("row.*", "found", "hidden")
 
 
 def report(docs: DataFrame) -> DataFrame:
@@ -281,18 +286,10 @@ def redacted(text: str, spans: list[tuple[int, int]], mark: str = "[secret]") ->
 def clean_documents(docs: DataFrame) -> DataFrame:
     """All rows of ``docs``; spans in ``text`` are replaced, and ``n_chars``, where there is one, counts the new text."""
     packed = scanned(docs, [document(docs)], whole=True)
-
-    @F.pandas_udf("string")
-    def hide(texts, found):
-        return texts.combine(found, lambda t, f: redacted(t, [(x["start"], x["end"]) for x in f]))
-
-    hit = F.size("found") > 0
-    # Only rows with a span go through the second function.
-    some = packed.filter(hit).withColumn("text", hide(F.col("document.text"), "found"))
-    rest = packed.filter(~hit).select("document.*")
-    changed = {"text": F.col("text"), "n_chars": F.length("text")}
-    names = [changed[c].cast(docs.schema[c].dataType).alias(c) if c in changed else F.col(f"document.`{c}`") for c in docs.columns]
-    return rest.unionByName(some.select(*names))
+    hit = F.col("hidden").isNotNull()
+    changed = {"text": F.col("hidden"), "n_chars": F.length("hidden")}
+    own = lambda c: F.col(f"document.`{c}`")
+    return packed.select(*[F.when(hit, changed[c].cast(docs.schema[c].dataType)).otherwise(own(c)).alias(c) if c in changed else own(c).alias(c) for c in docs.columns])
 
 
 def op9(spark, sf_dir: str) -> DataFrame:
