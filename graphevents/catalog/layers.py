@@ -203,13 +203,17 @@ def token_vectors(w: Work):
     return t.join(vec, "form").select("g", F.concat(F.lit("t:"), F.col("tok").cast("string")).alias("n"), "dim", "h")
 
 
-def fused_tokens(spark, sf):
-    """Text vectors of all tokens plus the states of their nodes after two layers."""
+def fused_rows(spark, sf):
+    """``g, n, dim, x``: text vectors of all tokens plus the states of their nodes after two layers."""
     w = Work(spark, sf)
     x, e = nodes_and_edges(w)
     for _ in range(2):
         x = R.edge_softmax_attention(x, e, SCORES)
-    return rounded(R.fuse(token_vectors(w), x).withColumnRenamed("h", "x"))
+    return R.fuse(token_vectors(w), x).withColumnRenamed("h", "x")
+
+
+def fused_tokens(spark, sf):
+    return rounded(fused_rows(spark, sf))
 
 
 TOKENS = (
