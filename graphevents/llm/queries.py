@@ -67,5 +67,5 @@ FROM q LEFT JOIN e ON q.source IS NOT DISTINCT FROM e.source LEFT JOIN y ON q.so
 
 
 def oracle_sql() -> dict[str, str]:
-    """SQL for those that it can express in a reasonable time; the others are held against brute force in the tests."""
+    """SQL for those that it can express in a reasonable time; README says how each of the others is tested."""
     return {"op1_source_mix": MIX, "op2_repeated_passages": PASSAGES, "op7_vector_links": LINKS}
