@@ -46,7 +46,7 @@ STAGES = [
     ("encode_pieces", encode_pieces),
 ]
 
-#: Near copies and pieces can't be expressed in SQL; the tests hold the pipeline against a brute-force version.
+#: Near copies and pieces can't be expressed in SQL; the tests hold the stages, one after the other, against plain expectations on a small fixture.
 ORACLE_SQL = None
 
 
