@@ -186,7 +186,7 @@ def histograms(column: pa.ChunkedArray | pa.Array) -> np.ndarray:
 
 
 def apart(one: np.ndarray, others: np.ndarray) -> np.ndarray:
-    """A lower bound of the word edit distance: one edit changes a histogram by 2 at most, and cutting counts off only lowers it."""
+    """A lower bound of the word edit distance of ``one`` (one row, or a row for each) and ``others``: one edit changes a histogram by 2 at most, and cutting counts off only lowers it."""
     return (np.maximum(one, others) - np.minimum(one, others)).sum(axis=1, dtype=np.int32) / 2
 
 
@@ -318,7 +318,7 @@ def compared(pairs: DataFrame, texts: DataFrame, far: float, most: int = 200) ->
         for b in batches:
             if not b.num_rows:
                 continue
-            least = np.abs(histograms(b.column("binsa")) - histograms(b.column("binsb"))).sum(axis=1) / 2
+            least = apart(histograms(b.column("binsa")), histograms(b.column("binsb")))
             keep = pa.array(least <= far * np.maximum(b.column("na").to_numpy(), b.column("nb").to_numpy()) + 1e-9)
             yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "salt")], ["a", "b", "salt"])
 

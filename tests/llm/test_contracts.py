@@ -169,6 +169,16 @@ def test_near_copies_of_planted_families_near_the_threshold(spark):
     assert all(i // 8 == c // 8 for i, c in enumerate(got))
 
 
+def test_the_leader_links_texts_whose_histograms_differ_both_ways(spark):
+    words = [f"w{i}" for i in range(60)]
+    other = [*words[:20], *[f"v{i}" for i in range(6)], *words[26:]]
+    far = [*words[:20], *[f"u{i}" for i in range(20)], *words[40:]]
+    rows = spark.createDataFrame([(i, len(w), " ".join(w).encode()) for i, w in enumerate([words, other, far])], "id long, n long, raw binary")
+    pairs = spark.createDataFrame([(0, 1), (0, 2), (1, 2)], "a long, b long")
+    with nearcopies.bucketed(nearcopies.with_bins(rows), "id") as kept:
+        assert [tuple(r) for r in nearcopies.compared(pairs, kept, 0.2).collect()] == [(0, 1, 60, 60, 6)]
+
+
 def test_tiles_give_what_packs_give(spark, monkeypatch):
     rng = random.Random(6)
     passage = [f"p{k}" for k in range(60)]
