@@ -7,6 +7,8 @@ from functools import reduce
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .decode import one_a_row
+
 GROUPS = {"Accept": "simple", "Hold": "simple", "Return": "simple", "Binding": "binding", "Negative": "regulation", "Positive": "regulation", "Regulation": "regulation"}
 
 
@@ -26,31 +28,43 @@ def span_matches(span: str = "approx") -> F.Column:
     return (F.col("p_from") >= F.col("g_from") - 1) & (F.col("p_to") <= F.col("g_to") + 1)
 
 
-def match_events(gold: DataFrame, pred: DataFrame, span: str = "approx", recursive: str = "approx", max_depth: int = 5) -> DataFrame:
-    """``sent_id, gold_id, pred_id`` of matching events.
+def with_spans(rows: DataFrame, t: str, events: str, out: str) -> DataFrame:
+    """``rows`` with ``out``, the events with the spans of their triggers."""
+    e = f"named_struct('event_id', e.event_id, 'etype', e.etype, 'tok_from', x.tok_from, 'tok_to', x.tok_to, 'theme', e.theme, 'cause', e.cause)"
+    return rows.withColumn(out, F.expr(f"flatten(transform({events}, e -> transform(filter({t}, x -> x.trig_id = e.trig_id), x -> {e})))"))
+
+
+def by_sentence(gold: DataFrame, pred: DataFrame) -> DataFrame:
+    """``sent_id, g, p``: a row a sentence with its gold and its predicted events."""
+    side = lambda df, x: df.groupBy("sent_id").agg(F.collect_list(F.struct("event_id", "etype", "tok_from", "tok_to", "theme", "cause")).alias(x))
+    return side(gold, "g").join(side(pred, "p"), "sent_id", "full_outer").select("sent_id", F.coalesce("g", F.array()).alias("g"), F.coalesce("p", F.array()).alias("p"))
+
+
+def matched(rows: DataFrame, span: str = "approx", recursive: str = "approx", max_depth: int = 5) -> DataFrame:
+    """``g, p`` -> also m, the matching events of each sentence as (g, p).
 
     Same type, matching triggers, same entity arguments, and event arguments that match in turn, level by level from the leaves. Under
-    approximate recursion an event argument needs only its type, trigger and themes to match. Joins are on (sentence, type), whose groups
-    are tiny.
+    approximate recursion an event argument needs only its type, trigger and themes to match. All pairs are within a sentence, so they are
+    made where its row is.
     """
-    side = lambda df, x: df.select("sent_id", "etype", F.col("event_id").alias(f"{x}_id"), F.col("tok_from").alias(f"{x}_from"), F.col("tok_to").alias(f"{x}_to"), F.col("theme").alias(f"{x}_theme"), F.col("cause").alias(f"{x}_cause"), F.col("level").alias(f"{x}_level"))
-    both = side(gold, "g").join(side(pred, "p"), ["sent_id", "etype"]).filter(span_matches(span))
-    entity = lambda c: F.col(c).isNull() | F.col(c).startswith("e")
-    base = both.filter(entity("g_theme") & entity("p_theme") & (F.col("g_theme") == F.col("p_theme")))
-    same_cause = F.col("g_cause").eqNullSafe(F.col("p_cause")) & entity("g_cause")
-    ids = lambda df: df.select("sent_id", "g_id", "p_id").distinct()
-    inner = ids(base if recursive == "approx" else base.filter(same_cause))  # what counts as a match of an argument
-    full = ids(base.filter(same_cause))
-    inside = full
-    arg = lambda m, name: m.select("sent_id", F.col("g_id").alias(f"g_{name}"), F.col("p_id").alias(f"p_{name}"), F.lit(True).alias(f"{name}_ok"))
-    for _ in range(max_depth):
-        rows = both.join(arg(inner, "theme"), ["sent_id", "g_theme", "p_theme"], "left").join(arg(inner, "cause"), ["sent_id", "g_cause", "p_cause"], "left")
-        theme_ok = F.coalesce("theme_ok", F.lit(False)) | (entity("g_theme") & (F.col("g_theme") == F.col("p_theme")))
-        cause_ok = same_cause | F.coalesce("cause_ok", F.lit(False))
-        inside = ids(rows.filter(theme_ok & cause_ok))
-        inner = ids(rows.filter(theme_ok)) if recursive == "approx" else inside
-    del full
-    return inside.select("sent_id", F.col("g_id").alias("gold_id"), F.col("p_id").alias("pred_id"))
+    near = "y.tok_from = x.tok_from and y.tok_to = x.tok_to" if span == "strict" else "y.tok_from >= x.tok_from - 1 and y.tok_to <= x.tok_to + 1"
+    pair = "named_struct('g', x.event_id, 'p', y.event_id, 'gt', x.theme, 'pt', y.theme, 'gc', x.cause, 'pc', y.cause)"
+    entity = lambda c: f"(b.{c} is null or startswith(b.{c}, 'e'))"
+    same_theme, same_cause = f"({entity('gt')} and b.gt = b.pt)", f"(b.gc <=> b.pc and {entity('gc')})"
+    ids = lambda cond: f"array_distinct(transform(filter(_pairs, b -> {cond}), b -> named_struct('g', b.g, 'p', b.p)))"
+    hit = lambda x: f"exists(_inner, i -> i.g = b.g{x} and i.p = b.p{x})"
+    rows = rows.withColumn("_pairs", F.expr(f"flatten(transform(g, x -> transform(filter(p, y -> y.etype = x.etype and {near}), y -> {pair})))"))
+    rows = rows.withColumn("_inner", F.expr(ids(same_theme if recursive == "approx" else f"{same_theme} and {same_cause}")))
+    theme, cause = f"({same_theme} or {hit('t')})", f"({same_cause} or {hit('c')})"
+    for _ in range(max_depth - 1):
+        rows = rows.withColumn("_inner", F.expr(ids(theme if recursive == "approx" else f"{theme} and {cause}")))
+    return rows.withColumn("m", F.expr(ids(f"{theme} and {cause}"))).drop("_pairs", "_inner")
+
+
+def match_events(gold: DataFrame, pred: DataFrame, span: str = "approx", recursive: str = "approx", max_depth: int = 5) -> DataFrame:
+    """``sent_id, gold_id, pred_id`` of matching events, as ``matched`` finds them."""
+    got = matched(by_sentence(gold, pred), span, recursive, max_depth)
+    return one_a_row(got, "m", "g", "p").select("sent_id", F.col("g").alias("gold_id"), F.col("p").alias("pred_id"))
 
 
 def ratios(df: DataFrame) -> DataFrame:
@@ -61,19 +75,23 @@ def ratios(df: DataFrame) -> DataFrame:
     return df.withColumn("f1", F.when(total > 0, 2 * F.col("recall") * F.col("precision") / total).otherwise(0.0))
 
 
-def counts(gold: DataFrame, pred: DataFrame, matches: DataFrame) -> DataFrame:
-    """``etype, group, gold, pred, tp_gold, tp_pred`` a type."""
-    g = gold.select("sent_id", "etype", F.col("event_id").alias("gold_id")).join(matches.select("sent_id", "gold_id").distinct().withColumn("hit", F.lit(1)), ["sent_id", "gold_id"], "left")
-    p = pred.select("sent_id", "etype", F.col("event_id").alias("pred_id")).join(matches.select("sent_id", "pred_id").distinct().withColumn("hit", F.lit(1)), ["sent_id", "pred_id"], "left")
-    g = g.groupBy("etype").agg(F.count("*").alias("gold"), F.count("hit").alias("tp_gold"))
-    p = p.groupBy("etype").agg(F.count("*").alias("pred"), F.count("hit").alias("tp_pred"))
-    zero = {c: 0 for c in ("gold", "pred", "tp_gold", "tp_pred")}
-    return g.join(p, "etype", "full_outer").na.fill(zero).withColumn("group", group_of(F.col("etype")))
+def counts(rows: DataFrame) -> DataFrame:
+    """``g, p, m`` of sentences -> ``etype, group, gold, pred, tp_gold, tp_pred`` a type."""
+    one = lambda x, gold, pred: f"transform({x}, e -> named_struct('etype', e.etype, 'gold', {gold[0]}, 'pred', {pred[0]}, 'tp_gold', {gold[1]}, 'tp_pred', {pred[1]}))"
+    hit = lambda x: f"if(exists(m, i -> i.{x} = e.event_id), 1L, 0L)"
+    each = F.expr(f"concat({one('g', ('1L', hit('g')), ('0L', '0L'))}, {one('p', ('0L', '0L'), ('1L', hit('p')))})")
+    got = rows.select(F.explode(each).alias("e")).groupBy("e.etype").agg(*[F.sum(f"e.{c}").alias(c) for c in ("gold", "pred", "tp_gold", "tp_pred")])
+    return got.withColumn("group", group_of(F.col("etype")))
 
 
 def evaluate(gold: DataFrame, pred: DataFrame, span: str = "approx", recursive: str = "approx") -> DataFrame:
     """``group, etype, gold, pred, tp_gold, tp_pred, recall, precision, f1``: by type, by group and for all (null where rolled up)."""
-    c = counts(gold, pred, match_events(gold, pred, span, recursive))
+    return evaluate_rows(by_sentence(gold, pred), span, recursive)
+
+
+def evaluate_rows(rows: DataFrame, span: str = "approx", recursive: str = "approx") -> DataFrame:
+    """The same from ``g, p`` of sentences."""
+    c = counts(matched(rows, span, recursive))
     sums = [F.sum(x).alias(x) for x in ("gold", "pred", "tp_gold", "tp_pred")]
     return ratios(c.rollup("group", "etype").agg(*sums))
 
