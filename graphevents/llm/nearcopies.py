@@ -363,6 +363,17 @@ def named(ids: DataFrame, found: DataFrame, column: str) -> DataFrame:
     return ids.join(found.withColumnRenamed("node", "id"), "id", "left").withColumn(column, F.coalesce("component", "id")).drop("component")
 
 
+def banded(rows: DataFrame, threshold: float) -> DataFrame:
+    """``key, id, n, comp`` -> also band: any two rows of a bucket with several components whose lengths allow a link share one. A bucket
+    that spans at most two classes of length is one band, in which each row is once."""
+    band = lambda n: F.floor(F.log(n.cast("double")) / F.log(F.lit(1.0 / threshold)) + 1e-9).cast("long")
+    whole = rows.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.min("n").alias("short"), F.max("n").alias("long")).filter("x < y")
+    rows = stored(rows.join(whole.select("key", band(F.col("short")).alias("first"), band(F.col("long")).alias("last")), "key"))
+    own = band(F.col("n"))
+    bands = F.when(F.col("last") - F.col("first") <= 1, F.array("last")).otherwise(F.array(own, own + 1))
+    return rows.select("key", "id", "n", "comp", F.explode(bands).alias("band"))
+
+
 def linked(rows: DataFrame, texts: DataFrame, same: DataFrame, threshold: float) -> DataFrame:
     """``key, id, n, k`` -> ``node, component`` of the texts (ids) that share buckets; ``same`` (src, dst) are linked beforehand."""
     far = 1.0 - threshold
@@ -371,9 +382,7 @@ def linked(rows: DataFrame, texts: DataFrame, same: DataFrame, threshold: float)
     # Buckets with more than one component, divided by length: each text is in its own class and the next, so two texts whose
     # lengths allow a link share one.
     open_ = named(rows.select("key", "id", "n"), found, "comp")
-    open_ = stored(open_.join(open_.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).filter("x < y").select("key"), "key", "left_semi"))
-    band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.0 / threshold)) + 1e-9).cast("long")
-    open_ = open_.select(F.explode(F.array(band, band + 1)).alias("band"), "key", "id", "n", "comp").select(F.xxhash64("key", "band").alias("grp"), "id", "n", "comp")
+    open_ = banded(open_, threshold).select(F.xxhash64("key", "band").alias("grp"), "id", "n", "comp")
     several = open_.groupBy("grp").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).filter("x < y").select("grp")
     open_ = stored(open_.join(several, "grp", "left_semi"))
     packs = 1 + open_.count() // PACK_ROWS
