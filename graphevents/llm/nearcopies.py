@@ -364,14 +364,23 @@ def named(ids: DataFrame, found: DataFrame, column: str) -> DataFrame:
 
 
 def banded(rows: DataFrame, threshold: float) -> DataFrame:
-    """``key, id, n, comp`` -> also band: any two rows of a bucket with several components whose lengths allow a link share one. A bucket
-    that spans at most two classes of length is one band, in which each row is once."""
+    """``key, id, n, comp`` -> also band: any two rows of a bucket with several components whose lengths allow a link share one, and a band
+    has several components.
+
+    A bucket that a tile holds, or that spans at most two classes of length, is one band, in which each row is once; a larger one is
+    divided by length: each row is in its own class and the next.
+    """
     band = lambda n: F.floor(F.log(n.cast("double")) / F.log(F.lit(1.0 / threshold)) + 1e-9).cast("long")
-    whole = rows.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.min("n").alias("short"), F.max("n").alias("long")).filter("x < y")
-    rows = stored(rows.join(whole.select("key", band(F.col("short")).alias("first"), band(F.col("long")).alias("last")), "key"))
+    several = rows.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.min("n").alias("short"), F.max("n").alias("long"), F.count("*").alias("k")).filter("x < y")
+    wide = (F.col("k") > TILE) & (band(F.col("long")) - band(F.col("short")) > 1)
+    rows = stored(rows.join(several.select("key", wide.alias("wide")), "key"))
     own = band(F.col("n"))
-    bands = F.when(F.col("last") - F.col("first") <= 1, F.array("last")).otherwise(F.array(own, own + 1))
-    return rows.select("key", "id", "n", "comp", F.explode(bands).alias("band"))
+    whole, cut = rows.filter("not wide").select("key", "id", "n", "comp", F.lit(0).cast("long").alias("band")), rows.filter("wide")
+    if cut.isEmpty():
+        return whole
+    cut = stored(cut.select("key", "id", "n", "comp", F.explode(F.array(own, own + 1)).alias("band")))
+    open_ = cut.groupBy("key", "band").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).filter("x < y").select("key", "band")
+    return whole.unionByName(cut.join(open_, ["key", "band"], "left_semi"))
 
 
 def linked(rows: DataFrame, texts: DataFrame, same: DataFrame, threshold: float) -> DataFrame:
@@ -379,12 +388,8 @@ def linked(rows: DataFrame, texts: DataFrame, same: DataFrame, threshold: float)
     far = 1.0 - threshold
     first = compared(stored(led(rows)), texts, far)
     found = stored(components(first.select(F.col("a").alias("src"), F.col("b").alias("dst")).union(same)))
-    # Buckets with more than one component, divided by length: each text is in its own class and the next, so two texts whose
-    # lengths allow a link share one.
-    open_ = named(rows.select("key", "id", "n"), found, "comp")
-    open_ = banded(open_, threshold).select(F.xxhash64("key", "band").alias("grp"), "id", "n", "comp")
-    several = open_.groupBy("grp").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).filter("x < y").select("grp")
-    open_ = stored(open_.join(several, "grp", "left_semi"))
+    open_ = banded(named(rows.select("key", "id", "n"), found, "comp"), threshold)
+    open_ = stored(open_.select(F.xxhash64("key", "band").alias("grp"), "id", "n", "comp"))
     packs = 1 + open_.count() // PACK_ROWS
     left = stored(families(met(open_.join(texts.select("id", "bins"), "id"), TILE, packs), far))
     own = stored(components(left.select(F.col("a").alias("src"), F.col("b").alias("dst"))))
